@@ -87,3 +87,38 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     else:
         raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     return now.select(F.col("a").alias("node"), F.col("b").alias("label")).unionByName(now.select("b", "b").distinct().toDF("node", "label"))
+
+
+def annotate(docs: DataFrame, keep: list[str], added: str, make, slice_bytes: int = 4_000_000) -> DataFrame:
+    """Columns `keep` of docs and the columns of the DDL string `added`, computed from the texts.
+
+    make() is called once a task and returns a function from a list of UTF-8 texts (None: null) to a
+    list of column values (lists), one for each added column.  Texts are handed over in slices of
+    about slice_bytes, so memory is bounded by a slice or the longest single text."""
+    import pyarrow as pa
+    from pyspark.sql import types as T
+    from pyspark.sql.pandas.types import to_arrow_schema
+
+    extra = T.StructType.fromDDL(added)
+    rows = docs.select(F.col("text").alias("__text"), *[F.col(f"`{c}`") for c in keep])
+    schema = T.StructType([*rows.schema.fields[1:], *extra.fields])
+    arrow = to_arrow_schema(extra)
+
+    def run(batches):
+        work = make()
+        for batch in batches:
+            texts = batch.column(0).cast(pa.large_binary())
+            ends, at = [], 0
+            size = 0
+            for i in range(batch.num_rows):
+                size += len(texts[i].as_buffer() or b"")
+                if size >= slice_bytes or i == batch.num_rows - 1:
+                    ends.append(i + 1)
+                    size = 0
+            for end in ends:
+                made = work(texts[at:end].to_pylist())
+                part = batch.slice(at, end - at)
+                yield pa.RecordBatch.from_arrays([*part.columns[1:], *[pa.array(v, f.type) for v, f in zip(made, arrow, strict=True)]], names=schema.fieldNames())
+                at = end
+
+    return rows.mapInArrow(run, schema)

@@ -65,7 +65,7 @@ def cut_arcs(loads: list[int], owner: np.ndarray, shards: int, slack: float) ->
     return merged or [(0, 0)]
 
 
-def shard(docs: DataFrame, shards: int = 16, nodes: int = 128, slack: float = 0.001, split_share: float = 0.01) -> DataFrame:
+def shard(docs: DataFrame, shards: int = 16, nodes: int = 128, slack: float = 0.001, split_share: float = 0.05) -> DataFrame:
     """doc_id, size, text_crc32, shard, slot for every row of docs(doc_id, text)."""
     text = text_or_empty()
     rows = materialize(
