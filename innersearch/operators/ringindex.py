@@ -72,7 +72,7 @@ def build_plain(points: DataFrame, centres, eps: float | None = None, n_key: int
     return _finish(assign(points, centres), centres, eps, n_key, None)
 
 
-def build(points: DataFrame, k_p: int = 5, n_key: int = 40, k_sp: int = 10, eps: float | None = None, iters: int = 8) -> RingIndex:
+def build(points: DataFrame, k_p: int = 5, n_key: int = 40, k_sp: int = 10, eps: float | None = None, iters: int = 5) -> RingIndex:
     """Clusters, keys and sub-cells of projected points."""
     centres, _ = kmeans.lloyd(points, "pv", k_p, iters)
     return _finish(assign(points, centres), centres, eps, n_key, k_sp)
@@ -86,7 +86,7 @@ def _finish(assigned: DataFrame, centres, eps: float | None, n_key: int, k_sp: i
     keyed = assigned.withColumn("ikey", index_key(F.col("part"), F.col("cdist"), eps, factor))
     keyed = keyed.withColumn("sub", F.lit(0)) if k_sp is None else split_rings(keyed, k_sp)
     keyed = keyed.persist()
-    return RingIndex(keyed, parts, subcell_table(keyed), centres, eps, factor)
+    return RingIndex(keyed, parts, subcell_table(keyed).persist(), centres, eps, factor)
 
 
 def split_rings(keyed: DataFrame, k_sp: int, sample: int = 2000, iters: int = 5) -> DataFrame:

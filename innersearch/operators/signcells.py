@@ -58,7 +58,7 @@ def radius_probe(cells: DataFrame, queries: DataFrame, m: int, c: float, chi: fl
     both = queries.withColumn("qcode", sign_code("qpv", m)).crossJoin(F.broadcast(cells))
     lb = sign_lower_bound(F.col("code"), F.col("qcode"), F.col("qpv"), m, form)
     ub = norm_upper_bound(head, qnorm)
-    both = both.select("qid", "code", "head_id", V.dist("head_pv", "qpv").alias("r"), lb.alias("lb"), F.round(lb * lb / (c * ub * ub), 9).alias("value"))
+    both = both.select("qid", "code", "head_id", V.dist("head_pv", "qpv").alias("r"), lb.alias("lb"), F.round(F.coalesce(F.try_divide(lb * lb, c * ub * ub), F.lit(0.0)), 9).alias("value"))
     w = Window.partitionBy("qid").orderBy("lb", "code")
     both = both.withColumn("rn", F.row_number().over(w))
     first = F.min(F.when(F.col("value") >= chi, F.struct("rn", "head_id", "r")))
