@@ -169,6 +169,15 @@ def _(s, d):
     return s.sql(f"SELECT qid, t.vec_id FROM lat_queries, LATERAL (SELECT vec_id FROM (SELECT vec_id, {dot} AS ip FROM lat_points WHERE vec_id <> qid) ORDER BY ip DESC, vec_id LIMIT 3) t")
 
 
+@q("recommend_star", """SELECT r_name, n_name, count(*) AS n_lines, round(sum(l_extendedprice * (1 - l_discount)), 2) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey
+  JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey JOIN part ON l_partkey = p_partkey WHERE p_size > 25 GROUP BY r_name, n_name""")
+def _(s, d):
+    t = {n: S.read(s, d, n) for n in ("lineitem", "orders", "customer", "nation", "region", "part")}
+    j = t["lineitem"].join(t["part"].where("p_size > 25"), F.col("l_partkey") == F.col("p_partkey")).join(t["orders"], F.col("l_orderkey") == F.col("o_orderkey")).join(t["customer"], F.col("o_custkey") == F.col("c_custkey"))
+    j = j.join(t["nation"], F.col("c_nationkey") == F.col("n_nationkey")).join(t["region"], F.col("n_regionkey") == F.col("r_regionkey"))
+    return j.groupBy("r_name", "n_name").agg(F.count("*").alias("n_lines"), F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))), 2).alias("revenue"))
+
+
 # ---- aggregations
 
 
@@ -414,3 +423,25 @@ def _(s, d):
     p = S.unit_embeddings(s, d)
     gone = p.where("vec_id % 10 = 0").select(F.lit("del").alias("op"), "vec_id", "v", F.lit(1).alias("ts"))
     return E.upsert_points(p, gone).select("vec_id")
+
+
+# ---- the SQL surface
+
+
+@q("sql_functions", f"{U} SELECT qid, vec_id, round(ip, 6) AS ip FROM pr WHERE vec_id < 50")
+def _(s, d):
+    from innersearch.operators import sqlsurface
+
+    sqlsurface.register(s)
+    x = Setup(s, d)
+    x.raw.where("vec_id < 50").createOrReplaceTempView("sql_points")
+    x.queries.select("qid", "qv").createOrReplaceTempView("sql_queries")
+    return s.sql("SELECT /*+ BROADCAST(sql_queries) */ qid, vec_id, round(inner_product(v, qv), 6) AS ip FROM sql_points, sql_queries WHERE vec_id <> qid")
+
+
+@q("sign_neighbors", "SELECT CAST(a AS BIGINT) AS code, CAST(b AS BIGINT) AS near FROM range(0, 16) x(a), range(0, 16) y(b) WHERE bit_count(xor(a, b)) <= 1")
+def _(s, d):
+    from innersearch.operators import sqlsurface
+
+    sqlsurface.register(s)
+    return s.sql("SELECT id AS code, t.near FROM range(16), LATERAL sign_neighbors(id, 4, 1) t")
