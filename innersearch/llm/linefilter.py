@@ -55,7 +55,7 @@ def line_kept(line: Column, words: Column, last: Column) -> Column:
     """The verdict of the rules on one line of `words` words."""
     bare = F.rtrim(F.translate(line, SPACES[1:], " "))
     closed = F.rlike(bare, F.lit(r"[\p{P}\p{S}]$"))
-    navigation = F.regexp_count(line, F.lit(SEPARATORS)) * 2 >= words
+    navigation = (words > 1) & (F.regexp_count(line, F.lit(SEPARATORS)) * 3 >= words)
     symbols = n_chars_of(line, SYMBOLS) * 2 > words
     return (words == 0) | ((closed | last | (words < OPEN_WORDS)) & ~navigation & ~symbols & ~F.rlike(line, F.lit(BOILERPLATE)))
 
@@ -98,8 +98,11 @@ def verdicts() -> tuple[Column, Column]:
 
 
 def clean(docs: DataFrame) -> DataFrame:
-    """docs that pass, their texts without the failing lines."""
-    return measured(docs).where(verdicts()[1]).withColumn("text", F.col("__line")["cleaned"]).select(*[F.col(f"`{c}`") for c in docs.columns])
+    """docs that pass, their texts without the failing lines.
+
+    The generator keeps the filter above the measures, which would else be computed again for it."""
+    found = measured(docs).withColumn("__line", F.explode(F.array("__line")))
+    return found.where(verdicts()[1]).withColumn("text", F.col("__line")["cleaned"]).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def line_digest(docs: DataFrame) -> DataFrame:

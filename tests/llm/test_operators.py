@@ -206,6 +206,36 @@ def test_signature_join(spark, docs, empty, block):
         assert kept.columns == docs.columns and kept.where("doc_id = 2").count() == 0 and kept.where("doc_id = 1").count() == 1
 
 
+def test_key_groups_of_long_runs(monkeypatch):
+    """Runs of equal keys that cross batches; a run above RUN becomes pairs with its least id."""
+    import numpy as np
+    import pyarrow as pa
+
+    class Rows:
+        def repartition(self, *_):
+            return self
+
+        sortWithinPartitions = distinct = repartition
+
+        def mapInArrow(self, f, _):
+            self.f = f
+            return self
+
+    monkeypatch.setattr(sigtree, "RUN", 3)
+    runs = {1: range(10), 2: [5, 6], 3: [7], 4: range(3), 5: [3, 3], 9: [0, 8, 8]}
+    k = np.array([key for key, ids in runs.items() for _ in ids], np.int64)
+    v = np.array([i for ids in runs.values() for i in ids], np.int64)
+    for size in (1, 2, 4, 100):
+        batches = [pa.RecordBatch.from_arrays([pa.array(k[i : i + size]), pa.array(v[i : i + size])], names=["key", "id"]) for i in range(0, len(k), size)]
+        groups = collections.defaultdict(set)
+        for b in sigtree.key_groups(Rows()).f(iter(batches)):
+            for g, i, sure in zip(*[c.to_pylist() for c in b.columns], strict=True):
+                groups[g, sure].add(i)
+        got = {(frozenset(m), sure) for (_, sure), m in groups.items()}
+        assert {(frozenset(m), False) for m in ([5, 6], [0, 1, 2], [0, 8])} <= got
+        assert all((frozenset([0, i]), True) in got for i in range(1, 10)) or (frozenset(range(10)), False) in got
+
+
 def test_line_runs(docs, empty):
     assert linededup.copy_digest(empty).count() == 0
     rows = collections.defaultdict(list)
