@@ -44,6 +44,15 @@ def materialize(df: DataFrame, name: str, **options: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Most rows of a narrow table that are broadcast; a larger one is joined by a shuffle.
+BROADCAST_ROWS = 2_000_000
+
+
+def small_side(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
+    """df, marked for broadcast if it has at most `limit` (narrow) rows, else for a sort-merge join."""
+    return F.broadcast(df) if df.limit(limit + 1).count() <= limit else df.hint("merge")
+
+
 def text_or_empty(col: str = "text") -> Column:
     return F.coalesce(F.col(col), F.lit(""))
 
@@ -89,7 +98,24 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     return now.select(F.col("a").alias("node"), F.col("b").alias("label")).unionByName(now.select("b", "b").distinct().toDF("node", "label"))
 
 
-def annotate(docs: DataFrame, keep: list[str], added: str, make, slice_bytes: int = 4_000_000) -> DataFrame:
+#: Texts are handed to numpy in slices of about this many bytes, so that a worker's arrays stay small.
+SLICE_BYTES = 1_000_000
+
+
+def text_slices(texts, slice_bytes: int = SLICE_BYTES):
+    """(first row, end row) of slices of an Arrow large_binary array of about slice_bytes, at least one row each."""
+    import numpy as np
+
+    ends = np.frombuffer(texts.buffers()[1], np.int64)[texts.offset + 1 : texts.offset + len(texts) + 1] if len(texts) else []
+    at = 0
+    while at < len(texts):
+        begun = ends[at - 1] if at else ends[0] - len(texts[0].as_buffer() or b"")
+        end = max(at + 1, int(np.searchsorted(ends, begun + slice_bytes, "right")))
+        yield at, end
+        at = end
+
+
+def annotate(docs: DataFrame, keep: list[str], added: str, make, slice_bytes: int = SLICE_BYTES) -> DataFrame:
     """Columns `keep` of docs and the columns of the DDL string `added`, computed from the texts.
 
     make() is called once a task and returns a function from a list of UTF-8 texts (None: null) to a
@@ -108,17 +134,9 @@ def annotate(docs: DataFrame, keep: list[str], added: str, make, slice_bytes: in
         work = make()
         for batch in batches:
             texts = batch.column(0).cast(pa.large_binary())
-            ends, at = [], 0
-            size = 0
-            for i in range(batch.num_rows):
-                size += len(texts[i].as_buffer() or b"")
-                if size >= slice_bytes or i == batch.num_rows - 1:
-                    ends.append(i + 1)
-                    size = 0
-            for end in ends:
+            for at, end in text_slices(texts, slice_bytes):
                 made = work(texts[at:end].to_pylist())
                 part = batch.slice(at, end - at)
                 yield pa.RecordBatch.from_arrays([*part.columns[1:], *[pa.array(v, f.type) for v, f in zip(made, arrow, strict=True)]], names=schema.fieldNames())
-                at = end
 
     return rows.mapInArrow(run, schema)

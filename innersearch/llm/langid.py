@@ -138,8 +138,8 @@ def train(docs: DataFrame, max_rows: int = TRAIN_ROWS) -> Profiles:
 
         total: dict[str, np.ndarray] = {}
         for batch in batches:
-            for text, lang in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                g, n = gram_counts(text)
+            for text, lang in zip(batch.column(0), batch.column(1).to_pylist(), strict=True):
+                g, n = gram_counts(text.as_py())
                 if len(g):
                     if lang not in total:
                         if len(total) >= MAX_LANGUAGES:

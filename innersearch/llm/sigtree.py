@@ -1,12 +1,15 @@
 """N-gram Jaccard join with signature trees.
 
 1. A text becomes the set of hashes of its word shingles.  Texts with equal sets collapse to the least doc_id.
-2. Blocks.  If two sets have Jaccard similarity num/den or more, they differ in at most
-   d = floor(a * (den - num) / num) elements, a the smaller size.  The hash space is cut into d + 1 or more
-   ranges, so on at least one range the two sets agree wholly: a hash of every range's content, with
-   the size class, is a key that such sets share.  Documents are chained by shared keys; the connected parts are
-   the blocks, and no link crosses blocks.  This is exact, whatever the frequency of a shingle, and
-   rows are spread by keys of whole ranges, so a passage that many documents share makes no hot key.
+2. Blocks.  Similar sets must share a key; what shared keys connect is a block, and no link crosses blocks.
+   Both kinds of key are exact, whatever the frequency of a shingle.
+   From 0.85 on: sets that are similar differ in at most d = floor(a * (den - num) / num) elements, a the smaller size.
+   The hash space is cut into d + 1 ranges or more, so on one range the two sets agree wholly; the key is a hash
+   of a range's content and the size class.  Below 0.85 ranges hold too few elements to tell sets apart:
+   all shingles get one total order, from rare to frequent as far as 2^18 counters over all documents tell, and similar
+   sets share one of their first n - ceil(n * num / den) + 1 elements, which are the keys.  There a signature tree
+   over the bitmaps and sizes of each key's documents leaves only the links that are possible.
+   Equal sets give one row for each slice of texts.
 3. A signature tree over each block: nodes hold the OR of the bitmaps of their sets, the range of sizes and
    the most elements a set has beyond its bits.  A dual traversal drops node pairs whose possible overlap is below
    what the similarity needs, and node pairs already in one component; what is left is compared exactly.
@@ -24,10 +27,16 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from innersearch.llm.common import annotate, components, materialize
+from innersearch.llm.common import annotate, components, materialize, small_side, text_slices
 
 WORDS, NUM, DEN = 3, 90, 100
 BLOCK = 1024
+#: Similarities from this one on use range keys, smaller ones prefix keys (both are exact).
+RANGES_FROM = (85, 100)
+#: Most ids of one key that a task holds.
+RUN = 4096
+COUNTER_BITS = 18
+COUNTERS = 2**COUNTER_BITS
 LEAF, FAN = 16, 4
 
 _FOLD = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
@@ -112,20 +121,87 @@ def range_keys(s: np.ndarray, classes: list[int], num: int, den: int) -> np.ndar
     return np.unique(np.concatenate(out))
 
 
-def set_table(docs: DataFrame, words: int, num: int, den: int) -> DataFrame:
-    """doc_id, n, fingerprint (f1, f2) and range keys of every row."""
-    classes = size_classes(num, den)
+def least_linkable(num: int, den: int) -> int:
+    """Sets smaller than this link with equal sets only."""
+    return -(-num // (den - num)) if den > num else 2**62
+
+
+def prefix_keys(s: np.ndarray, rank: np.ndarray, num: int, den: int) -> np.ndarray:
+    """The first elements of a set in the total order: (rank of the counter, rest of the hash), a bijection of the hash."""
+    order = (rank[(s & np.uint64(COUNTERS - 1)).astype(np.int64)] << np.uint64(64 - COUNTER_BITS)) | (s >> np.uint64(COUNTER_BITS))
+    p = len(s) - -(-len(s) * num // den) + 1
+    return (np.partition(order, p - 1)[:p] if p < len(s) else order).view(np.int64)
+
+
+def counter_ranks(docs: DataFrame, words: int) -> np.ndarray:
+    """Ranks of the 2^18 counters by the number of sets with a shingle in each, ties by counter.
+
+    Tasks add up their own counters, so at most 2^18 rows a task are shuffled and 2^18 reach the driver."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        total = np.zeros(COUNTERS, np.int64)
+        for batch in batches:
+            texts = batch.column(0).cast(pa.large_binary())
+            for at, end in text_slices(texts):
+                for s in shingle_sets(texts[at:end].to_pylist(), words):
+                    np.add.at(total, (s & np.uint64(COUNTERS - 1)).astype(np.int64), 1)
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], names=["counter", "n"])
+
+    got = docs.select("text").mapInArrow(run, "counter int, n long").groupBy("counter").agg(F.sum("n").alias("n")).toPandas()
+    counts = np.zeros(COUNTERS, np.int64)
+    counts[got["counter"].to_numpy(np.int64)] = got["n"].to_numpy(np.int64)
+    rank = np.empty(COUNTERS, np.uint64)
+    rank[np.argsort(counts, kind="stable")] = np.arange(COUNTERS, dtype=np.uint64)
+    return rank
+
+
+def _prints(s: np.ndarray) -> tuple[int, int, int]:
+    """Two fingerprints of a set, and the node id made of them (collisions only add candidates)."""
+    f1, f2 = (mixed(s, salt).sum(dtype=np.uint64) for salt in (21, 22))
+    node = mixed(np.array([f1], np.uint64) ^ mixed(np.array([f2], np.uint64), len(s) & 0xFFFF), 23)[0]
+    return int(f1.astype(np.int64)), int(f2.astype(np.int64)), int(node.astype(np.int64))
+
+
+def set_table(docs: DataFrame, words: int) -> DataFrame:
+    """doc_id, n, fingerprint (f1, f2), node id and bitmap of every row."""
 
     def make():
         def work(texts):
             sets = shingle_sets(texts, words)
-            f1 = [int(mixed(s, 21).sum(dtype=np.uint64).astype(np.int64)) for s in sets]
-            f2 = [int(mixed(s, 22).sum(dtype=np.uint64).astype(np.int64)) for s in sets]
-            return [[len(s) for s in sets], f1, f2, [range_keys(s, classes, num, den) for s in sets]]
+            prints = [_prints(s) for s in sets]
+            return [[len(s) for s in sets], *[list(c) for c in zip(*prints, strict=True)], [bitmap(s).tobytes() for s in sets]]
 
         return work
 
-    return annotate(docs, ["doc_id"], "n long, f1 long, f2 long, keys array<long>", make)
+    return annotate(docs, ["doc_id"], "n long, f1 long, f2 long, node long, bits binary", make)
+
+
+def key_table(docs: DataFrame, words: int, num: int, den: int, ranges: bool) -> DataFrame:
+    """Rows (key, id) of the range or prefix keys of every set, id its node; equal sets in a slice of texts give one."""
+    shared = None if ranges else docs.sparkSession.sparkContext.broadcast(counter_ranks(docs, words))
+    classes = size_classes(num, den) if ranges else []
+    least = least_linkable(num, den)
+
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            texts = batch.column(0).cast(pa.large_binary())
+            for at, end in text_slices(texts):
+                made: dict[int, np.ndarray] = {}
+                for s in shingle_sets(texts[at:end].to_pylist(), words):
+                    if len(s) >= least:
+                        node = _prints(s)[2]
+                        if node not in made:
+                            made[node] = range_keys(s, classes, num, den) if ranges else prefix_keys(s, shared.value, num, den)
+                if made:
+                    ids = np.repeat(np.array(list(made), np.int64), [len(k) for k in made.values()])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(list(made.values()))), pa.array(ids)], names=["key", "id"])
+
+    return docs.select("text").mapInArrow(run, "key long, id long")
 
 
 def chained(keys: DataFrame) -> DataFrame:
@@ -155,23 +231,138 @@ def chained(keys: DataFrame) -> DataFrame:
     return keys.repartition("key").sortWithinPartitions("key", "id").mapInArrow(run, "a long, b long").distinct()
 
 
+def key_groups(keys: DataFrame) -> DataFrame:
+    """Distinct rows (grp, id, chained) of the ids that share a key: groups with the same ids are one group.
+
+    One shuffle by key; a task streams its sorted rows and holds one run of equal keys, up to RUN ids.  A longer run
+    becomes chained pairs, the least id with each other one, which all count as possible links."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        def rows(k: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            """Groups of whole runs: equal (key, id) rows once, runs of one id dropped."""
+            once = np.concatenate([[True], (k[1:] != k[:-1]) | (v[1:] != v[:-1])])
+            k, v = k[once], v[once]
+            start = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
+            n = np.diff(np.append(start, len(k)))
+            name = np.repeat(np.add.reduceat(mixed(v.view(np.uint64), 41), start).view(np.int64), n)
+            many = np.repeat(n > 1, n)
+            return name[many], v[many]
+
+        def batch_of(g: np.ndarray, v: np.ndarray, chained: bool = False):
+            pairs = np.unique(np.stack([g, v], 1), axis=0) if len(g) else np.zeros((0, 2), np.int64)
+            return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1]), pa.array(np.full(len(pairs), chained))], names=["grp", "id", "chained"])
+
+        def chain(least: int, v: np.ndarray):
+            v = np.unique(v[v != least])
+            g = mixed(np.stack([np.full(len(v), least), v]).view(np.uint64), 41).sum(0, dtype=np.uint64).view(np.int64)
+            return batch_of(np.repeat(g, 2), np.stack([np.full(len(v), least), v], 1).ravel(), True)
+
+        k, v, hot = np.zeros(0, np.int64), np.zeros(0, np.int64), None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            k, v = np.concatenate([k, batch.column(0).to_numpy()]), np.concatenate([v, batch.column(1).to_numpy()])
+            if hot is not None:
+                n = int(np.searchsorted(k, hot[0], "right"))
+                if n:
+                    yield chain(hot[1], v[:n])
+                    k, v = k[n:], v[n:]
+                hot = hot if not len(k) else None
+            if not len(k):
+                continue
+            cut = int(np.searchsorted(k, k[-1]))  # the last run may go on
+            if cut:
+                yield batch_of(*rows(k[:cut], v[:cut]))
+                k, v = k[cut:], v[cut:]
+            if len(k) > RUN:
+                hot = (k[0], int(v[0]))
+                yield chain(hot[1], v)
+                k, v = k[:0], v[:0]
+        if len(k):
+            yield batch_of(*rows(k, v))
+
+    return keys.repartition("key").sortWithinPartitions("key", "id").mapInArrow(run, "grp long, id long, chained boolean").distinct()
+
+
+def possible_links(groups: DataFrame, maps: DataFrame, num: int, den: int) -> DataFrame:
+    """Pairs (a, b) of ids that chain, in each group, what its bitmaps and sizes leave possible.
+
+    A signature tree over the group's bitmaps with a dual traversal; a worker holds one group."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        now, held, out = None, [], []
+        for batch in batches:
+            for g, i, n, m in zip(*[c.to_pylist() for c in batch.columns], strict=True):
+                if g != now:
+                    out += _possible(held, num, den)
+                    now, held = g, []
+                held.append((i, n, m))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in out]), pa.array([p[1] for p in out])], names=["a", "b"])
+                out = []
+        out = _possible(held, num, den)
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in out]), pa.array([p[1] for p in out])], names=["a", "b"])
+
+    met = maps.join(small_side(groups.where("not chained").select("grp", "id")), F.col("node") == F.col("id")).select("grp", "id", "n", "bits")
+    found = met.repartition("grp").sortWithinPartitions("grp", "n").mapInArrow(run, "a long, b long")
+    pairs = groups.where("chained").groupBy("grp").agg(F.min("id").alias("a"), F.max("id").alias("b")).select("a", "b")
+    return found.unionByName(pairs).distinct()
+
+
+def _possible(held: list[tuple[int, int, bytes]], num: int, den: int) -> list[tuple[int, int]]:
+    if len(held) < 2:
+        return []
+    least = min(len(m) for _, _, m in held) // 8
+    maps = []
+    for _, _, m in held:
+        x = np.frombuffer(m, np.uint64)
+        while len(x) > least:
+            x = x[: len(x) // 2] | x[len(x) // 2 :]
+        maps.append(x)
+    block = Block([i for i, _, _ in held], None, num, den, np.array([n for _, n, _ in held], np.int64), np.stack(maps))
+    block.join_self()
+    return block.forest()
+
+
+def bitmap(s: np.ndarray) -> np.ndarray:
+    """About 4 bits an element, a power of two from 256 to 2^15, at the low bits of the hashes: a larger map folds to
+    a smaller one by OR of its halves."""
+    bits = 1 << int(min(15, max(8, len(s).bit_length() + 2)))
+    at = (s & np.uint64(bits - 1)).astype(np.int64)
+    flags = np.zeros(bits, np.uint8)
+    flags[at] = 1
+    return np.packbits(flags, bitorder="little").view(np.uint64)
+
+
 class Block:
     """A signature tree over sets, and the components found by a dual traversal."""
 
-    def __init__(self, ids: list[int], sets: list[np.ndarray], num: int, den: int):
-        order = sorted(range(len(ids)), key=lambda i: (int(sets[i][0]), len(sets[i]), ids[i]))
-        self.ids, self.sets = [ids[i] for i in order], [sets[i] for i in order]
+    def __init__(self, ids: list[int], sets: list[np.ndarray] | None, num: int, den: int, n: np.ndarray | None = None, maps: np.ndarray | None = None):
         self.num, self.den = num, den
-        self.n = np.array([len(s) for s in self.sets], np.int64)
-        bits = 1 << int(min(14, max(8, int(self.n.max()).bit_length() + 2)))
-        self.maps = np.zeros((len(ids), bits // 64), np.uint64)
-        for i, s in enumerate(self.sets):
-            at = s & np.uint64(bits - 1)
-            np.bitwise_or.at(self.maps[i], (at >> np.uint64(6)).astype(np.int64), np.uint64(1) << (at & np.uint64(63)))
+        if maps is None:
+            order = sorted(range(len(ids)), key=lambda i: (int(sets[i][0]), len(sets[i]), ids[i]))
+            self.ids, self.sets = [ids[i] for i in order], [sets[i] for i in order]
+            self.n = np.array([len(s) for s in self.sets], np.int64)
+            wide = [bitmap(s) for s in self.sets]
+            most = max(len(m) for m in wide)
+            self.maps = np.stack([m if len(m) == most else self._widened(s, most) for m, s in zip(wide, self.sets, strict=True)])
+        else:
+            self.ids, self.sets, self.n, self.maps = ids, None, n, maps
         self.extra = self.n - np.bitwise_count(self.maps).sum(1, dtype=np.int64)
         self.label = np.unique(np.array(self.ids, np.int64), return_inverse=True)[1]
         self.levels = self._build()
 
+    @staticmethod
+    def _widened(s: np.ndarray, words: int) -> np.ndarray:
+        flags = np.zeros(words * 64, np.uint8)
+        flags[(s & np.uint64(words * 64 - 1)).astype(np.int64)] = 1
+        return np.packbits(flags, bitorder="little").view(np.uint64)
+
     def _build(self) -> list[tuple]:
         """Levels of nodes from the leaves up: OR maps, least size, greatest size, extra, first and last set."""
         first = np.arange(0, len(self.n), LEAF)
@@ -234,6 +425,9 @@ class Block:
             common = int(np.bitwise_count(self.maps[i] & other.maps[j]).sum()) + min(self.extra[i], other.extra[j])
             if common * (self.num + self.den) < self.num * (self.n[i] + other.n[j]):
                 return False
+        if self.sets is None:  # bitmaps alone: possible
+            small, large = sorted((int(self.n[i]), int(other.n[j])))
+            return small * self.den >= large * self.num
         return self._alike(self.sets[i], other.sets[j])
 
     def links_with(self, other: Block) -> list[tuple[int, int]]:
@@ -294,8 +488,8 @@ def joined_tasks(rows: DataFrame, words: int, num: int, den: int) -> DataFrame:
         for batch in batches:
             pairs = []
             texts = batch.column(3).cast(pa.large_binary())
-            for at in range(0, batch.num_rows, 1024):
-                m = min(1024, batch.num_rows - at)
+            for at, end in text_slices(texts):
+                m = end - at
                 sets = shingle_sets(texts.slice(at, m).to_pylist(), words)
                 for task, side, i, sig in zip(*[batch.column(c).slice(at, m).to_pylist() for c in range(3)], sets, strict=True):
                     if task != now:
@@ -314,18 +508,28 @@ def joined_tasks(rows: DataFrame, words: int, num: int, den: int) -> DataFrame:
 def similar_components(docs: DataFrame, words: int = WORDS, num: int = NUM, den: int = DEN, block: int = BLOCK) -> DataFrame:
     """doc_id, n_shingles, component_id of every row of docs(doc_id, text)."""
     narrow = docs.select("doc_id", "text")
-    sets = materialize(set_table(narrow, words, num, den), "sets")
-    groups = sets.where("n > 0").groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min_by("keys", "doc_id").alias("keys"))
+    sets = materialize(set_table(narrow, words), "sets")
+    groups = sets.where("n > 0").groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min("node").alias("g_node"), F.first("bits").alias("bits"))
     groups = materialize(groups, "set_groups")
-    keys = groups.where("rep is not null").select(F.explode("keys").alias("key"), F.col("rep").alias("id"))
-    parts = materialize(components(chained(keys)), "blocks").withColumnRenamed("label", "part")
+    reps = groups.where("rep is not null").select("rep", "g_node")
+    ranges = num * RANGES_FROM[1] >= den * RANGES_FROM[0]
+    keys = key_table(narrow, words, num, den, ranges)
+    if ranges:
+        edges = chained(keys)
+    else:
+        maps = groups.where("rep is not null").select(F.col("g_node").alias("node"), "n", "bits")
+        edges = possible_links(materialize(key_groups(keys), "key_groups"), maps, num, den)
+    edges = materialize(edges, "possible")
+    edges = edges.join(reps.toDF("ra", "na"), F.col("a") == F.col("na")).join(reps.toDF("rb", "nb"), F.col("b") == F.col("nb")).select(F.col("ra").alias("a"), F.col("rb").alias("b"))
+    parts = materialize(components(edges), "blocks").withColumnRenamed("label", "part")
     sizes = parts.groupBy("part").agg(F.count("*").alias("members"))
     members = parts.join(sizes.where(F.col("members") > block), "part", "left").select("node", "part", F.coalesce("members", F.lit(0)).alias("members"))
     small = members.where("members = 0").select("node", "part")
     texts = narrow.withColumnRenamed("doc_id", "id")
 
     def tasks(rows: DataFrame, task) -> DataFrame:
-        return rows.join(texts, F.col("node") == F.col("id")).select(task.alias("task"), "side", "id", "text")
+        asked = small_side(rows.select(task.alias("task"), "side", "node"))
+        return texts.join(asked, F.col("node") == F.col("id")).select("task", "side", "id", "text")
 
     links = joined_tasks(tasks(small.withColumn("side", F.lit(0)), F.struct("part", F.lit(0).alias("x"), F.lit(0).alias("y"))), words, num, den)
     links = materialize(links, "links")
@@ -363,9 +567,11 @@ def _large_links(large: DataFrame, tasks, words: int, num: int, den: int, block:
 
 
 def keep_one(docs: DataFrame, **options: int) -> DataFrame:
-    """docs with one row - the least doc_id - of each component of similar texts."""
+    """docs with one row - the least doc_id - of each component of similar texts.
+
+    Rows without a doc_id stay, except that of repeated doc_ids one row stays."""
     found = materialize(similar_components(docs, **options), "components")
-    heads = found.where("doc_id = component_id or component_id is null").select("doc_id").distinct()
-    kept = docs.join(heads.withColumnRenamed("doc_id", "__head"), F.col("doc_id").eqNullSafe(F.col("__head")), "left_semi")
-    repeated = found.groupBy("doc_id").count().where("count > 1")
-    return kept if repeated.isEmpty() else kept.dropDuplicates(["doc_id"])
+    per = found.where("doc_id is not null").groupBy("doc_id").agg(F.max((F.col("doc_id") == F.col("component_id")).cast("int")).alias("head"), F.count("*").alias("rows"))
+    per = materialize(per.where("head = 0 or rows > 1"), "not_alone")
+    kept = docs.join(small_side(per.where("head = 0").select(F.col("doc_id").alias("__gone"))), F.col("doc_id") == F.col("__gone"), "left_anti")
+    return kept if per.where("rows > 1").isEmpty() else kept.dropDuplicates(["doc_id"])
