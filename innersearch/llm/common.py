@@ -102,6 +102,15 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
 SLICE_BYTES = 1_000_000
 
 
+#: Most bytes of an Arrow batch on its way to a Python worker (one row may be more); the JVM and the worker hold a few each.
+BATCH_BYTES = 4_000_000
+
+
+def bound_batches(spark: SparkSession) -> None:
+    """Bounds Arrow batches by bytes, for 10,000 texts may be any size.  Results do not depend on it."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+
+
 def text_slices(texts, slice_bytes: int = SLICE_BYTES):
     """(first row, end row) of slices of an Arrow large_binary array of about slice_bytes, at least one row each."""
     import numpy as np
@@ -125,6 +134,7 @@ def annotate(docs: DataFrame, keep: list[str], added: str, make, slice_bytes: in
     from pyspark.sql import types as T
     from pyspark.sql.pandas.types import to_arrow_schema
 
+    bound_batches(docs.sparkSession)
     extra = T.StructType.fromDDL(added)
     rows = docs.select(F.col("text").alias("__text"), *[F.col(f"`{c}`") for c in keep])
     schema = T.StructType([*rows.schema.fields[1:], *extra.fields])

@@ -27,7 +27,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from innersearch.llm.common import annotate, components, materialize, small_side, text_slices
+from innersearch.llm.common import annotate, bound_batches, components, materialize, small_side, text_slices
 
 WORDS, NUM, DEN = 3, 90, 100
 BLOCK = 1024
@@ -507,6 +507,7 @@ def joined_tasks(rows: DataFrame, words: int, num: int, den: int) -> DataFrame:
 
 def similar_components(docs: DataFrame, words: int = WORDS, num: int = NUM, den: int = DEN, block: int = BLOCK) -> DataFrame:
     """doc_id, n_shingles, component_id of every row of docs(doc_id, text)."""
+    bound_batches(docs.sparkSession)
     narrow = docs.select("doc_id", "text")
     sets = materialize(set_table(narrow, words), "sets")
     groups = sets.where("n > 0").groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min("node").alias("g_node"), F.first("bits").alias("bits"))
