@@ -514,7 +514,8 @@ def similar_components(docs: DataFrame, words: int = WORDS, num: int = NUM, den:
     groups = materialize(groups, "set_groups")
     reps = groups.where("rep is not null").select("rep", "g_node")
     ranges = num * RANGES_FROM[1] >= den * RANGES_FROM[0]
-    keys = key_table(narrow, words, num, den, ranges)
+    # a set without a rep must not be the least id of a key, or the other ids of the key are tied to nothing
+    keys = key_table(narrow.where("doc_id is not null"), words, num, den, ranges)
     if ranges:
         edges = chained(keys)
     else:

@@ -206,6 +206,26 @@ def test_signature_join(spark, docs, empty, block):
         assert kept.columns == docs.columns and kept.where("doc_id = 2").count() == 0 and kept.where("doc_id = 1").count() == 1
 
 
+def _null_id_near_pairs():
+    """Triples X (no doc_id), Y, Z: Y and Z are X with its last and its first word changed, in every order of node ids."""
+    rows, orders = [], set()
+    for g in range(24):
+        x = [f"g{g}w{i}" for i in range(120)]
+        texts = [" ".join(w) for w in (x, [*x[:-1], "other"], ["other", *x[1:]])]
+        nodes = [sigtree._prints(s)[2] for s in sigtree.shingle_sets([t.encode() for t in texts])]
+        orders.add(tuple(sorted(range(3), key=nodes.__getitem__)))
+        rows += zip((None, 2 * g, 2 * g + 1), texts, strict=True)
+    assert len(orders) == 6
+    return rows
+
+
+@pytest.mark.parametrize("k, num", [(3, 90), (5, 80)])
+def test_rows_without_an_id_break_no_link(spark, k, num):
+    df = spark.createDataFrame(_null_id_near_pairs(), "doc_id long, text string")
+    got = {r["doc_id"]: r["component_id"] for r in sigtree.similar_components(df, k, num, 100).collect() if r["doc_id"] is not None}
+    assert got == {i: i - i % 2 for i in range(48)}
+
+
 def test_key_groups_of_long_runs(monkeypatch):
     """Runs of equal keys that cross batches; a run above RUN becomes pairs with its least id."""
     import numpy as np
