@@ -30,6 +30,8 @@ DIM = 1024
 #: Most training rows of the fit; above it rows are drawn by a hash of doc_id at the rate that meets it.
 TRAIN_ROWS = 60_000
 MAX_LANGUAGES = 1_000
+#: Texts from this length on have enough 3-grams for a cosine well above that of a language not learned.
+LONG_CHARS = 200
 
 
 def symbol_table() -> np.ndarray:
@@ -180,10 +182,12 @@ def language_digest(docs: DataFrame) -> DataFrame:
     return found.select("doc_id", F.coalesce(held_out(), F.lit(False)).alias("held_out"), F.col("__lang_pred").alias("lang_pred"), F.col("__lang_score").alias("score"))
 
 
-def keep_languages(docs: DataFrame, profiles: Profiles, allowed: list[str] | None = None, least: float = 0.2) -> DataFrame:
-    """docs whose predicted language is allowed (None: any learned one) with a cosine of at least `least`."""
+def keep_languages(docs: DataFrame, profiles: Profiles, allowed: list[str] | None = None, least: float = 0.2, least_long: float | None = None) -> DataFrame:
+    """docs whose predicted language is allowed (None: any learned one) with a cosine of at least `least`, or of
+    `least_long` for texts of LONG_CHARS characters or more (None: `least`)."""
     found = identify(docs, profiles, docs.columns)
-    ok = (F.col("__lang_pred") != "und") & (F.col("__lang_score") >= least)
+    bar = F.lit(least) if least_long is None else F.when(F.length("text") >= LONG_CHARS, least_long).otherwise(least)
+    ok = (F.col("__lang_pred") != "und") & (F.col("__lang_score") >= bar)
     if allowed is not None:
         ok &= F.col("__lang_pred").isin(allowed)
     return found.where(ok).select(*[F.col(f"`{c}`") for c in docs.columns])
