@@ -414,8 +414,11 @@ def _(s, d):
 
 @q("stream_search")
 def _(s, d):
+    from innersearch.plans import whole
+
     p = S.unit_embeddings(s, d)
-    return E.search_batch(S.read(s, d, "events").where("event_id < 200"), p, 100)
+    users = E.event_queries(S.read(s, d, "events"), p, p.count()).select("qid", "qv").dropDuplicates(["qid"])
+    return whole.union([exact.exact_topk_blocked(p, block, 5) for block in whole.hashed_blocks(users, "qid", whole.QUERY_BLOCK)])
 
 
 @q("upserted_points", "SELECT vec_id FROM embeddings WHERE vec_id NOT IN (SELECT vec_id FROM embeddings WHERE vec_id % 10 = 0)")
