@@ -151,10 +151,12 @@ def _(s, d):
 
 @q("nearest_euclid")
 def _(s, d):
-    x = Setup(s, d)
-    both = exact.spread(x.points).crossJoin(F.broadcast(x.queries)).where("vec_id != qid")
-    pairs = both.select("qid", "vec_id", V.dist("pv", "qpv").alias("pdist"), V.dist2("v", "qv").alias("d2"))
-    return stepwise.nearest_euclid(pairs, K, C, CHI)
+    def one(x):
+        both = exact.spread(x.points).crossJoin(F.broadcast(x.queries)).where("vec_id != qid")
+        pairs = both.select("qid", "vec_id", V.dist("pv", "qpv").alias("pdist"), V.dist2("v", "qv").alias("d2"))
+        return stepwise.nearest_euclid(pairs, K, C, CHI)
+
+    return whole.in_blocks(Setup(s, d), one)
 
 
 @q("sign_codes", f"{U}{O.cells()} SELECT vec_id, code FROM co")
@@ -354,7 +356,8 @@ def _(s, d):
 def _(s, d):
     x = Setup(s, d, "skewed")
     n = x.raw.count()
-    return shell_lsh.search(shell_lsh.build(x.raw, O.D), x.queries.select("qid", "qv"), O.D, n, K)
+    index = shell_lsh.build(x.raw, O.D)
+    return whole.in_blocks(x, lambda y: shell_lsh.search(index, y.queries.select("qid", "qv"), O.D, n, K))
 
 
 @q("norm_bands", f"{O.base('skewed')} SELECT vec_id, CAST(ntile(32) OVER (ORDER BY round(n2, 12) DESC, vec_id) AS INTEGER) AS band FROM p")
@@ -391,7 +394,8 @@ def _(s, d):
 def _(s, d):
     x = Setup(s, d, "skewed")
     book = residual_pq.train(x.raw, O.D)
-    return residual_pq.search(residual_pq.encode(x.raw, book), x.queries, book, K)
+    index = residual_pq.encode(x.raw, book)
+    return whole.in_blocks(x, lambda y: residual_pq.search(index, y.queries, book, K))
 
 
 @q("residual_pq_exhaustive", f"{O.base('skewed')} {EXK}")
@@ -404,7 +408,7 @@ def _(s, d):
 @q("power_lsh_search")
 def _(s, d):
     x = Setup(s, d, "skewed")
-    return power_lsh.search(x.raw, x.queries.select("qid", "qv"), O.D, K)
+    return whole.in_blocks(x, lambda y: power_lsh.search(y.raw, y.queries.select("qid", "qv"), O.D, K))
 
 
 # ---- measures and workloads
@@ -502,8 +506,8 @@ def _(s, d):
 @q("recommend_for_customer")
 def _(s, d):
     items, users = S.latent_factors(s, d)
-    qs = users.orderBy("vec_id").limit(20).select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))
-    h = exact.exact_topk_blocked(items, qs, 5, exclude_self=False)
+    blocks = whole.hashed_blocks(whole.query_set(users), "qid", whole.QUERY_BLOCK)
+    h = whole.union([exact.exact_topk_blocked(items, block, 5, exclude_self=False) for block in blocks])
     return h.join(S.read(s, d, "part").select(F.col("p_partkey").alias("vec_id"), "p_name", "p_brand"), "vec_id")
 
 

@@ -11,8 +11,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from innersearch.functions import vectors as V
-from innersearch.operators import certificates, pages, projection, ringindex
-from innersearch.plans.catalog import C, CHI, MATRIX, Setup, q, r6
+from innersearch.operators import certificates, exact, metrics, pages, projection, ringindex
+from innersearch.plans import engine
+from innersearch.plans.catalog import C, CHI, K, M, MATRIX, Setup, hits6, q, r6
 from innersearch.sources import vectors as S
 
 #: Every row whose id is divisible by EVERY is a query.
@@ -133,3 +134,40 @@ def _(s, d):
         return pages.page_access(ringindex.candidate_cells(index, balls), index.subcells, size)
 
     return in_blocks(x, one)
+
+
+# ---- searches on the whole query set
+
+
+def exact_all(x: Setup, k: int) -> DataFrame:
+    return union([exact.exact_topk_blocked(x.raw, block, k) for block in hashed_blocks(query_set(x.raw), "qid", QUERY_BLOCK)])
+
+
+@q("exact_topk_all")
+def _(s, d):
+    return hits6(exact_all(Setup(s, d), K))
+
+
+@q("ball_topk_all")
+def _(s, d):
+    x = Setup(s, d)
+    x.maxn2  # noqa: B018  once, not for each block
+    return hits6(in_blocks(x, lambda y: y.ball()[0]))
+
+
+@q("flagship_search_all")
+def _(s, d):
+    points = S.label_clustered(s, d)
+    e = engine.build(points, engine.SearchParams(m=M))
+    return hits6(union([e.search(block)[0] for block in hashed_blocks(query_set(points), "qid", QUERY_BLOCK)]))
+
+
+@q("recall_all")
+def _(s, d):
+    """Recall of each query against the exact answers, by source."""
+    out = []
+    for source in ("unit", "skewed", "clustered"):
+        x = Setup(s, d, source)
+        x.maxn2  # noqa: B018
+        out.append(metrics.recall(in_blocks(x, lambda y: y.ball()[0]), exact_all(x, K)).select(F.lit(source).alias("source"), "qid", r6("recall")))
+    return union(out)

@@ -75,3 +75,19 @@ def test_stream_search_takes_all_events(spark, sf_dir):
     big = "/root/testdata/sf0.01"
     users = {r[0] for r in spark.read.parquet(f"{big}/events.parquet").select("user_id").distinct().collect()}
     assert {r[0] for r in run(spark, big, "stream_search")} == {u % 500 for u in users}
+
+
+def test_searches_ask_every_fiftieth_row(spark, sf_dir, table, monkeypatch):
+    monkeypatch.setattr(whole, "QUERY_BLOCK", 4)
+    ids, v = table
+    due = {int(i) for i in ids if i % 50 == 0}
+    got = {}
+    for qid, rank, vec_id, _ in sorted(run(spark, sf_dir, "exact_topk_all")):
+        got.setdefault(qid, []).append(vec_id)
+    ip = v @ v.T
+    np.fill_diagonal(ip, -np.inf)
+    assert got == {q: [int(x) for x in ids[np.lexsort((ids, -ip[q]))[:10]]] for q in due}
+    for name in ("ball_topk_all", "residual_pq_search", "power_lsh_search"):
+        assert {r["qid"] for r in catalog.QUERIES[name](spark, sf_dir).select("qid").distinct().collect()} == due
+    users = {r[0] for r in spark.read.parquet(f"{sf_dir}/orders.parquet").select("o_custkey").distinct().collect()}
+    assert {r["qid"] for r in catalog.QUERIES["recommend_for_customer"](spark, sf_dir).select("qid").distinct().collect()} == {u for u in users if u % 50 == 0}
