@@ -44,15 +44,16 @@ def shells(points: DataFrame, ratio: float = RATIO) -> DataFrame:
     return p.crossJoin(F.broadcast(top)).withColumn("shell", F.when(F.col("norm") > 0, F.least(F.lit(60), s)).otherwise(60)).drop("top")
 
 
-def build(points: DataFrame, d: int, ratio: float = RATIO, functions: int = 32, seed: int = 42) -> DataFrame:
-    """vec_id, v, norm, shell, bound (greatest norm of the shell), hashes of the lifted point."""
+def build(points: DataFrame, d: int, ratio: float = RATIO, seed: int = 42) -> DataFrame:
+    """vec_id, v, norm, shell, bound (greatest norm of the shell), as many hashes of the lifted point as its number asks for."""
+    functions = params(points.count())["functions"]
     s = shells(points, ratio)
     bound = s.groupBy("shell").agg(F.max("norm").alias("bound"))
     lifted = s.join(F.broadcast(bound), "shell").withColumn("u", transforms.lift_point(F.col("v"), F.col("bound") * F.col("bound")))
     return lifted.withColumn("h", projected("u", gaussian_matrix(functions, d + 1, seed))).drop("u")
 
 
-def search(index: DataFrame, queries: DataFrame, d: int, n: int, k: int = 10, c0: float = BASE, functions: int = 32, seed: int = 42) -> DataFrame:
+def search(index: DataFrame, queries: DataFrame, d: int, n: int, k: int = 10, c0: float = BASE, seed: int = 42) -> DataFrame:
     """qid, rank, vec_id, ip, after the shell rule.
 
     Radius levels grow by c0 from a hundredth of the shell's diameter; a point is a candidate of the first level at which
@@ -60,9 +61,8 @@ def search(index: DataFrame, queries: DataFrame, d: int, n: int, k: int = 10, c0
     times |q| cannot beat the k-th best are masked, by a running count over shells."""
     from pyspark.sql import Window
 
-    share = params(n, c0)["alpha"]
-    need = max(1, math.ceil(share * functions))
-    w = width(c0)
+    by = params(n, c0)
+    functions, need, w = by["functions"], by["threshold"], by["w"]
     q = queries.withColumn("qu", F.concat(V.normalize("qv"), F.array(F.lit(0.0)))).withColumn("qh", projected("qu", gaussian_matrix(functions, d + 1, seed))).withColumn("qnorm", V.l2("qv"))
     both = index.crossJoin(F.broadcast(q.select("qid", "qv", "qh", "qnorm"))).where("vec_id != qid")
     gaps = F.zip_with("h", "qh", lambda a, b: F.abs(a - b * F.col("bound")))

@@ -105,7 +105,7 @@ class Bench:
     def sizes(self) -> DataFrame:
         """Logical bytes of what each method keeps beside the vectors, and build seconds."""
         n, d, m = self.n, self.d, self.built("ring").m
-        kept = {"ring": pages.index_bytes(n, d, m)["narrow"], "shell_lsh": n * (8 + 8 * 32), "norm_band_lsh": n * (8 + 2), "residual_pq": n * (8 + 16) + 8 * (64 * d + 64 * d * d + 256 * d)}
+        kept = {"ring": pages.index_bytes(n, d, m)["narrow"], "shell_lsh": n * (8 + 8 * shell_lsh.params(n)["functions"]), "norm_band_lsh": n * (8 + 2), "residual_pq": n * (8 + 16) + 8 * (64 * d + 64 * d * d + 256 * d)}
         for method in METHODS:
             self.built(method)
         rows = [(self.source, x, "", 0, name, float(v)) for x in METHODS for name, v in (("index_bytes", kept[x]), ("build_seconds", self.build_seconds[x]))]

@@ -91,3 +91,13 @@ def test_searches_ask_every_fiftieth_row(spark, sf_dir, table, monkeypatch):
         assert {r["qid"] for r in catalog.QUERIES[name](spark, sf_dir).select("qid").distinct().collect()} == due
     users = {r[0] for r in spark.read.parquet(f"{sf_dir}/orders.parquet").select("o_custkey").distinct().collect()}
     assert {r["qid"] for r in catalog.QUERIES["recommend_for_customer"](spark, sf_dir).select("qid").distinct().collect()} == {u for u in users if u % 50 == 0}
+
+
+def test_shell_hashes_follow_the_number_of_points(spark, sf_dir):
+    points = whole.S.skewed_embeddings(spark, sf_dir)
+    n = points.count()
+    want = catalog.shell_lsh.params(n)["functions"]
+    index = catalog.shell_lsh.build(points, 64)
+    assert want != 32 and {r[0] for r in index.selectExpr("size(h)").distinct().collect()} == {want}
+    queries = whole.query_set(points)
+    assert {r[0] for r in catalog.shell_lsh.search(index, queries, 64, n).select("qid").distinct().collect()} == {r[0] for r in queries.select("qid").collect()}
