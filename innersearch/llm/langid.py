@@ -27,8 +27,6 @@ from innersearch.llm.common import annotate
 
 SYMBOLS = 64
 DIM = 1024
-#: Most training rows of the fit; above it rows are drawn by a hash of doc_id at the rate that meets it.
-TRAIN_ROWS = 60_000
 MAX_LANGUAGES = 1_000
 #: Texts from this length on have enough 3-grams for a cosine well above that of a language not learned.
 LONG_CHARS = 200
@@ -125,15 +123,12 @@ def _square_sum(grams: np.ndarray) -> float:
     return float(n @ n)
 
 
-def train(docs: DataFrame, max_rows: int = TRAIN_ROWS) -> Profiles:
-    """Profiles of docs(doc_id, text, lang) with non-null lang.
+def train(docs: DataFrame) -> Profiles:
+    """Profiles of all rows of docs(text, lang) with non-null lang.
 
     Partial sums over 3-grams are made in the tasks, so at most tasks * languages * 64^3 small rows are shuffled
     and languages * 64^3 reach the driver."""
-    rows = docs.where("lang is not null and text is not null").select("doc_id", "text", "lang")
-    n = rows.select("doc_id").count()
-    if n > max_rows:
-        rows = rows.where(F.pmod(F.xxhash64(F.lit("train"), "doc_id"), F.lit(1_000_000)) < int(1_000_000 * max_rows / n))
+    rows = docs.where("lang is not null and text is not null").select("text", "lang")
 
     def sums(batches):
         import pyarrow as pa
@@ -152,7 +147,7 @@ def train(docs: DataFrame, max_rows: int = TRAIN_ROWS) -> Profiles:
             at = np.flatnonzero(w).astype(np.int32)
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at), pa.string()), pa.array(at), pa.array(w[at].astype(np.float64))], names=["lang", "gram", "weight"])
 
-    stats = rows.select("text", "lang").mapInArrow(sums, "lang string, gram int, weight double").groupBy("lang", "gram").agg(F.sum("weight").alias("weight")).toPandas()
+    stats = rows.mapInArrow(sums, "lang string, gram int, weight double").groupBy("lang", "gram").agg(F.sum("weight").alias("weight")).toPandas()
     return Profiles(sorted(stats["lang"].unique()), {k: (v["gram"].to_numpy(np.int32), v["weight"].to_numpy(np.float64)) for k, v in stats.groupby("lang")})
 
 

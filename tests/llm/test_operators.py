@@ -96,6 +96,15 @@ def test_language(docs, empty, spark, sf_dir):
     assert got.where("score < 0 or score > 1").count() == 0
 
 
+def test_rare_languages_are_learned(spark):
+    """Three rows of one language among 70,000 of another."""
+    rows = spark.range(70_000).selectExpr("id AS doc_id", "concat('the cat number ', id, ' sat on the mat') AS text", "'en' AS lang")
+    rare = spark.createDataFrame([(-1 - i, f"zwiebel {i} knusprig gebraten", "de") for i in range(3)], "doc_id long, text string, lang string")
+    total = langid.train(rows.unionByName(rare))
+    few = langid.train(rows.limit(10).unionByName(rare))
+    assert total.names == ["de", "en"] and abs(total.vectors[0] - few.vectors[0]).max() < 1e-3
+
+
 def test_language_table_equals_vectors():
     p = langid.Profiles(["a", "b"], {"a": langid.gram_counts("the cat sat on the mat"), "b": langid.gram_counts("der Hund bellt laut heute")})
     text = "the dog on the mat"
