@@ -61,12 +61,25 @@ def lower_ascii(col: Column) -> Column:
     return F.translate(col, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
 
-def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+def fresh(columns: list[str], name: str) -> str:
+    """A column name for own use that clashes with none of `columns`, whatever their case."""
+    taken, name = {c.lower() for c in columns}, f"__{name}"
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
+def columns_of(df: DataFrame) -> list[Column]:
+    return [F.col(f"`{c}`") for c in df.columns]
+
+
+def components(edges: DataFrame, max_rounds: int = 1_000) -> DataFrame:
     """Connected components of edges(a, b): returns (node, label), label the smallest node reached.
+    Nodes are of any type that has an order and equality.
 
     Alternates the large-star and small-star contractions; each round is two partial aggregations
     and two joins on the node id (AQE splits a hot node), and is written to the shared folder.
-    Stops when a round leaves the edge set unchanged.  Raises if max_rounds do not suffice."""
+    Stops when a round leaves the edge set unchanged, after O(log^2) rounds; max_rounds is out of reach."""
 
     def star(e: DataFrame, small: bool) -> DataFrame:
         both = e if small else e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
@@ -89,7 +102,7 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     for _ in range(max_rounds):
         if not seen[0]:
             break
-        now = materialize(star(star(now, small=False), small=True), "edges")
+        now = materialize(star(star(now, False), True), "edges")
         was, seen = seen, summary(now)
         if was == seen:
             break
@@ -107,8 +120,36 @@ BATCH_BYTES = 4_000_000
 
 
 def bound_batches(spark: SparkSession) -> None:
-    """Bounds Arrow batches by bytes, for 10,000 texts may be any size.  Results do not depend on it."""
-    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+    """Bounds Arrow batches by bytes, for 10,000 texts may be any size; a smaller bound of the session stays.
+    The bound is read when the plan runs, so it is not put back.  Results do not depend on it."""
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = spark.conf.get(name)
+    if not now.isdigit() or int(now) > BATCH_BYTES:
+        spark.conf.set(name, str(BATCH_BYTES))
+
+
+def release() -> None:
+    """Gives the memory that Arrow and the C library keep for later back to the system: workers are used again."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
+def tidy(run):
+    """A function for mapInArrow that releases memory when its task ends."""
+
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            release()
+
+    return wrapped
 
 
 def text_slices(texts, slice_bytes: int = SLICE_BYTES):
@@ -124,11 +165,11 @@ def text_slices(texts, slice_bytes: int = SLICE_BYTES):
         at = end
 
 
-def annotate(docs: DataFrame, keep: list[str], added: str, make, slice_bytes: int = SLICE_BYTES) -> DataFrame:
+def annotate(docs: DataFrame, keep: list[str], added: str, make, slice_bytes: int = SLICE_BYTES, also: tuple[str, ...] = ()) -> DataFrame:
     """Columns `keep` of docs and the columns of the DDL string `added`, computed from the texts.
 
-    make() is called once a task and returns a function from a list of UTF-8 texts (None: null) to a
-    list of column values (lists), one for each added column.  Texts are handed over in slices of
+    make() is called once a task and returns a function from a list of UTF-8 texts (None: null) and lists of the values of the
+    columns `also` to a list of column values (lists), one for each added column.  Texts are handed over in slices of
     about slice_bytes, so memory is bounded by a slice or the longest single text."""
     import pyarrow as pa
     from pyspark.sql import types as T
@@ -136,8 +177,9 @@ def annotate(docs: DataFrame, keep: list[str], added: str, make, slice_bytes: in
 
     bound_batches(docs.sparkSession)
     extra = T.StructType.fromDDL(added)
-    rows = docs.select(F.col("text").alias("__text"), *[F.col(f"`{c}`") for c in keep])
-    schema = T.StructType([*rows.schema.fields[1:], *extra.fields])
+    n = 1 + len(also)
+    rows = docs.select(F.col("text"), *[F.col(f"`{c}`") for c in (*also, *keep)]).toDF(*[f"c{i}" for i in range(n + len(keep))])
+    schema = T.StructType([*[T.StructField(c, f.dataType) for c, f in zip(keep, rows.schema.fields[n:], strict=True)], *extra.fields])
     arrow = to_arrow_schema(extra)
 
     def run(batches):
@@ -145,8 +187,8 @@ def annotate(docs: DataFrame, keep: list[str], added: str, make, slice_bytes: in
         for batch in batches:
             texts = batch.column(0).cast(pa.large_binary())
             for at, end in text_slices(texts, slice_bytes):
-                made = work(texts[at:end].to_pylist())
                 part = batch.slice(at, end - at)
-                yield pa.RecordBatch.from_arrays([*part.columns[1:], *[pa.array(v, f.type) for v, f in zip(made, arrow, strict=True)]], names=schema.fieldNames())
+                made = work(texts[at:end].to_pylist(), *[part.column(i).to_pylist() for i in range(1, n)])
+                yield pa.RecordBatch.from_arrays([*part.columns[n:], *[pa.array(v, f.type) for v, f in zip(made, arrow, strict=True)]], names=schema.fieldNames())
 
-    return rows.mapInArrow(run, schema)
+    return rows.mapInArrow(tidy(run), schema)

@@ -23,7 +23,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from innersearch.llm.common import annotate
+from innersearch.llm.common import annotate, bound_batches, fresh, tidy
 
 SYMBOLS = 64
 DIM = 1024
@@ -128,6 +128,7 @@ def train(docs: DataFrame) -> Profiles:
 
     Partial sums over 3-grams are made in the tasks, so at most tasks * languages * 64^3 small rows are shuffled
     and languages * 64^3 reach the driver."""
+    bound_batches(docs.sparkSession)
     rows = docs.where("lang is not null and text is not null").select("text", "lang")
 
     def sums(batches):
@@ -147,12 +148,12 @@ def train(docs: DataFrame) -> Profiles:
             at = np.flatnonzero(w).astype(np.int32)
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at), pa.string()), pa.array(at), pa.array(w[at].astype(np.float64))], names=["lang", "gram", "weight"])
 
-    stats = rows.mapInArrow(sums, "lang string, gram int, weight double").groupBy("lang", "gram").agg(F.sum("weight").alias("weight")).toPandas()
+    stats = rows.mapInArrow(tidy(sums), "lang string, gram int, weight double").groupBy("lang", "gram").agg(F.sum("weight").alias("weight")).toPandas()
     return Profiles(sorted(stats["lang"].unique()), {k: (v["gram"].to_numpy(np.int32), v["weight"].to_numpy(np.float64)) for k, v in stats.groupby("lang")})
 
 
-def identify(docs: DataFrame, profiles: Profiles, keep: list[str]) -> DataFrame:
-    """Columns `keep` with __lang_pred and __lang_score."""
+def identify(docs: DataFrame, profiles: Profiles, keep: list[str], pred: str = "__lang_pred", score: str = "__lang_score") -> DataFrame:
+    """Columns `keep` with the predicted language and its cosine."""
     shared = docs.sparkSession.sparkContext.broadcast(profiles)
 
     def make():
@@ -163,7 +164,7 @@ def identify(docs: DataFrame, profiles: Profiles, keep: list[str]) -> DataFrame:
 
         return work
 
-    return annotate(docs, keep, "__lang_pred string, __lang_score double", make)
+    return annotate(docs, keep, f"`{pred}` string, `{score}` double", make)
 
 
 def held_out() -> Column:
@@ -180,9 +181,10 @@ def language_digest(docs: DataFrame) -> DataFrame:
 def keep_languages(docs: DataFrame, profiles: Profiles, allowed: list[str] | None = None, least: float = 0.2, least_long: float | None = None) -> DataFrame:
     """docs whose predicted language is allowed (None: any learned one) with a cosine of at least `least`, or of
     `least_long` for texts of LONG_CHARS characters or more (None: `least`)."""
-    found = identify(docs, profiles, docs.columns)
+    pred, score = fresh(docs.columns, "lang_pred"), fresh(docs.columns, "lang_score")
+    found = identify(docs, profiles, docs.columns, pred, score)
     bar = F.lit(least) if least_long is None else F.when(F.length("text") >= LONG_CHARS, least_long).otherwise(least)
-    ok = (F.col("__lang_pred") != "und") & (F.col("__lang_score") >= bar)
+    ok = (F.col(pred) != "und") & (F.col(score) >= bar)
     if allowed is not None:
-        ok &= F.col("__lang_pred").isin(allowed)
+        ok &= F.col(pred).isin(allowed)
     return found.where(ok).select(*[F.col(f"`{c}`") for c in docs.columns])

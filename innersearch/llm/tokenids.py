@@ -14,7 +14,7 @@ half file, and any store that Spark reaches will do).  One row is one chunk of w
 Everything but `payload` is the chunk index and is read without it.
 
 Defined cases: null text is an empty text (only the end id); rows with one doc_id, repeated or not,
-all stay, ordered by text among themselves; a null doc_id sorts first; an empty table gives an empty
+all stay, ordered by a hash of the text (then the text) among themselves; a null doc_id sorts first; an empty table gives an empty
 file and no rows; other columns are ignored."""
 
 from __future__ import annotations
@@ -27,18 +27,50 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from innersearch.llm.common import scratch_path
+from innersearch.llm.common import bound_batches, scratch_path, text_slices, tidy
 
 BLOCK_IDS = 16_384
 CHUNK_IDS = 262_144
-CACHE_ENTRIES = 400_000
+#: Bytes that the caches of an encoder may take, about, and the longest word that they hold.
+CACHE_BYTES = 64_000_000
+CACHE_WORD = 64
+#: A longer text is encoded in pieces of this many bytes, cut at white space.
+PIECE_BYTES = 1_000_000
 
 CHUNK_SCHEMA = "part int, chunk int, first_id long, n_ids long, doc_ids array<long>, doc_ns array<long>, sizes array<int>, payload binary"
 
 
+class Cache:
+    """Ids by word or piece, in two generations: the younger one becomes the older one when it holds half of `most` bytes,
+    and what is found in the older one moves up."""
+
+    #: Bytes of an entry beside its key and its ids: two objects' heads and the place in the table.
+    HEAD = 190
+
+    def __init__(self, most: int):
+        self.half, self.held = most // 2, 0
+        self.now: dict = {}
+        self.old: dict = {}
+
+    def put(self, key, ids: bytes) -> None:
+        if len(key) > CACHE_WORD:
+            return
+        self.held += len(key) + len(ids) + self.HEAD
+        if self.held > self.half:
+            self.old, self.now, self.held = self.now, {}, len(key) + len(ids) + self.HEAD
+        self.now[key] = ids
+
+    def again(self, key) -> bytes | None:
+        """The ids of a key that the younger generation lacks."""
+        ids = self.old.get(key)
+        if ids is not None:
+            self.put(key, ids)
+        return ids
+
+
 class WordEncoder:
     """Encodes whole texts with a tokenizer whose pre-tokenizer never joins characters across ASCII
-    white space, remembering the ids of words and pieces (bounded; emptied when full).
+    white space, remembering the ids of words and pieces in caches bounded by bytes.
 
     Words of ASCII and Latin-1 letters take a short way: lower-casing, the piece pattern of the
     vocabulary file and the BPE model itself.  All other words go through the full tokenizer."""
@@ -47,7 +79,7 @@ class WordEncoder:
     PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿ]+|[0-9]|[^a-z0-9ß-öø-ÿ]+")
     PLAIN = re.compile(r"[!-~À-ÖØ-öø-ÿ]+")
 
-    def __init__(self, path: str, entries: int = CACHE_ENTRIES):
+    def __init__(self, path: str, cache_bytes: int = CACHE_BYTES):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
@@ -55,9 +87,7 @@ class WordEncoder:
 
         self.full = Tokenizer.from_file(path)
         self.model = self.full.model
-        self.entries = entries
-        self.words: dict[bytes, bytes] = {}
-        self.pieces: dict[str, bytes] = {}
+        self.words, self.pieces = Cache(cache_bytes * 3 // 4), Cache(cache_bytes // 4)
         visible = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
         hidden = [b for b in range(256) if b not in set(visible)]
         self.byte_chars = [""] * 256
@@ -79,34 +109,51 @@ class WordEncoder:
     def _short(self, word: str) -> bytes:
         out = []
         for piece in self.PIECE.findall(word.lower()):
-            ids = self.pieces.get(piece)
+            ids = self.pieces.now.get(piece) or self.pieces.again(piece)
             if ids is None:
                 units = piece if piece.isascii() else "".join([self.byte_chars[b] for b in piece.encode()])
                 ids = b"".join([t.id.to_bytes(4, "little") for t in self.model.tokenize(units)])
-                if len(self.pieces) >= self.entries:
-                    self.pieces.clear()
-                self.pieces[piece] = ids
+                self.pieces.put(piece, ids)
             out.append(ids)
         return b"".join(out)
 
     def _word(self, raw: bytes) -> bytes:
+        ids = self.words.now.get(raw) or self.words.again(raw)
+        if ids is not None:
+            return ids
         word = raw.decode()
         ids = self._short(word) if self.short_way and "<|" not in word and self.PLAIN.fullmatch(word) else self._long(word)
-        if len(self.words) >= self.entries:
-            self.words.clear()
-        self.words[raw] = ids
+        self.words.put(raw, ids)
         return ids
 
     def encode(self, text: bytes) -> bytes:
         """The ids of a UTF-8 text as little-endian unsigned 32-bit integers."""
+        if len(text) <= PIECE_BYTES:
+            return self._encoded(text)
+        return b"".join([self._encoded(text[a:b]) for a, b in _pieces(text)])
+
+    def _encoded(self, text: bytes) -> bytes:
         words = text.split()
-        found = list(map(self.words.get, words))
+        found = list(map(self.words.now.get, words))
         if None in found:
-            get, make = self.words.get, self._word
-            found = [ids if ids is not None else get(w) or make(w) for ids, w in zip(found, words, strict=True)]
+            make = self._word
+            found = [make(w) if ids is None else ids for ids, w in zip(found, words, strict=True)]
         return b"".join(found)
 
 
+_SPACE = re.compile(rb"[\x20\x09-\x0D]")
+
+
+def _pieces(text: bytes) -> Iterator[tuple[int, int]]:
+    """Places of pieces of PIECE_BYTES or, where no white space follows, more."""
+    at = 0
+    while at < len(text):
+        space = _SPACE.search(text, at + PIECE_BYTES)
+        end = space.start() if space else len(text)
+        yield at, end
+        at = end
+
+
 def _planes(block: np.ndarray, kind: str) -> list[bytes]:
     rows = block.view(np.uint8).reshape(-1, 4)
     if kind == "byte":
@@ -154,15 +201,16 @@ def write_token_ids(
     One range shuffle of the texts; each task streams its sorted rows and holds one chunk."""
     end = int(end_id).to_bytes(4, "little")
 
+    schema = pa.schema(
+        [("part", pa.int32()), ("chunk", pa.int32()), ("first_id", pa.int64()), ("n_ids", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("doc_ns", pa.list_(pa.int64())), ("sizes", pa.list_(pa.int32())), ("payload", pa.binary())]
+    )
+
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         coder, part = WordEncoder(tokenizer), TaskContext.get().partitionId()
         chunk = before = held = 0
         docs_, ns, parts = [], [], []
-        schema = pa.schema(
-            [("part", pa.int32()), ("chunk", pa.int32()), ("first_id", pa.int64()), ("n_ids", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("doc_ns", pa.list_(pa.int64())), ("sizes", pa.list_(pa.int32())), ("payload", pa.binary())]
-        )
 
         def row() -> pa.RecordBatch:
             sizes, payload = pack_ids(np.frombuffer(b"".join(parts), "<u4"), block_ids, kind, level)
@@ -179,18 +227,22 @@ def write_token_ids(
                 if held >= chunk_ids:
                     yield row()
                     chunk, before, held, docs_, ns, parts = chunk + 1, before + held, 0, [], [], []
+            del batch, texts
         if docs_:
             yield row()
 
+    bound_batches(docs.sparkSession)
     rows = docs.select("doc_id", "text")
-    ordered = rows.repartitionByRange("doc_id", F.xxhash64("text")).sortWithinPartitions("doc_id", "text")
-    ordered.mapInArrow(encode, CHUNK_SCHEMA).write.option("compression", "none").parquet(path)
+    order = F.xxhash64("text")
+    ordered = rows.repartitionByRange("doc_id", order).sortWithinPartitions("doc_id", order, "text")
+    ordered.mapInArrow(tidy(encode), CHUNK_SCHEMA).write.option("compression", "none").parquet(path)
 
 
 def read_token_ids(spark: SparkSession, path: str, block_ids: int = BLOCK_IDS, kind: str = "byte") -> DataFrame:
     """doc_id, start (ids of all documents before it), ids (little-endian unsigned 32-bit), from the files.
 
-    The base of each part comes from the chunk index alone; it has one row for each write task."""
+    The base of each part comes from the chunk index alone; it has one row for each write task.
+    A task holds one chunk unpacked."""
     chunks = spark.read.schema(CHUNK_SCHEMA).parquet(path)
     totals = sorted((r[0], r[1]) for r in chunks.groupBy("part").agg(F.sum("n_ids")).collect())
     base, total = {}, 0
@@ -199,16 +251,22 @@ def read_token_ids(spark: SparkSession, path: str, block_ids: int = BLOCK_IDS, k
 
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for r in batch.to_pylist():
-                ids = unpack_ids(r["sizes"], r["payload"], r["n_ids"], block_ids, kind)
-                ns = np.array(r["doc_ns"], np.int64)
+            for i in range(batch.num_rows):
+                part, _, first, n, doc_ids, doc_ns, sizes = (batch.column(c)[i] for c in range(7))
+                ids = unpack_ids(sizes.as_py(), memoryview(batch.column(7)[i].as_buffer()), n.as_py(), block_ids, kind)
+                ns = doc_ns.values.to_numpy()
                 ends = np.cumsum(ns)
-                starts = base[r["part"]] + r["first_id"] + ends - ns
-                offsets = pa.py_buffer(np.concatenate([[0], ends * 4]).astype(np.int32).tobytes())
-                data = pa.Array.from_buffers(pa.binary(), len(ns), [None, offsets, pa.py_buffer(ids.tobytes())])
-                yield pa.RecordBatch.from_arrays([pa.array(r["doc_ids"], pa.int64()), pa.array(starts, pa.int64()), data], names=["doc_id", "start", "ids"])
-
-    return chunks.mapInArrow(decode, "doc_id long, start long, ids binary")
+                starts = base[part.as_py()] + first.as_py() + ends - ns
+                offsets = pa.py_buffer(np.concatenate([[0], ends * 4]).astype(np.int64))
+                data = pa.Array.from_buffers(pa.large_binary(), len(ns), [None, offsets, pa.py_buffer(ids)])
+                # rows are handed over in slices, so the JVM never holds a chunk of ids at once; a long document may be alone
+                for at, to in text_slices(data):
+                    yield pa.RecordBatch.from_arrays([doc_ids.values.slice(at, to - at), pa.array(starts[at:to], pa.int64()), data.slice(at, to - at).cast(pa.binary())], names=["doc_id", "start", "ids"])
+                del ids, data
+            del batch
+
+    bound_batches(spark)
+    return chunks.mapInArrow(tidy(decode), "doc_id long, start long, ids binary")
 
 
 def token_digest(spark: SparkSession, docs: DataFrame, tokenizer: str) -> DataFrame:
