@@ -6,9 +6,11 @@
    From 0.85 on: sets that are similar differ in at most d = floor(a * (den - num) / num) elements, a the smaller size.
    The hash space is cut into d + 1 ranges or more, so on one range the two sets agree wholly; the key is a hash
    of a range's content and the size class.  Below 0.85 ranges hold too few elements to tell sets apart:
-   all shingles get one total order, from rare to frequent as far as 2^18 counters over all documents tell, and similar
-   sets share one of their first n - ceil(n * num / den) + 1 elements, which are the keys.  There a signature tree
-   over the bitmaps and sizes of each key's documents leaves only the links that are possible.
+   all shingles get one total order, first those not known to be common by hash, then the common ones from rare to frequent, and
+   similar sets share one of their first n - ceil(n * num / den) + 1 elements, which are the keys.  Common shingles are
+   heavy hitters: tasks keep the most frequent ones of theirs, the sums over all tasks give the COMMON most frequent of the table.
+   There a signature tree over the bitmaps and sizes of each key's documents leaves only the links that are possible.
+   Where a key's documents are chained anyway, tasks chain their own first and send one row a key.
    Equal sets give one row for each slice of texts.
 3. A signature tree over each block: nodes hold the OR of the bitmaps of their sets, the range of sizes and
    the most elements a set has beyond its bits.  A dual traversal drops node pairs whose possible overlap is below
@@ -18,8 +20,8 @@
    their own.  So a task never holds more than two chunks, and no link is lost.
 
 Defined cases: null or empty text, or text without words, has an empty set and no links; fewer words than a shingle
-make one shingle; rows with one doc_id are rows of their own, each with the component of its own text; a null doc_id
-has component null unless its set equals another's; an empty table gives no rows; other columns are ignored or kept."""
+make one shingle; rows with one doc_id are rows of their own, each with the component of its own text (its label is the least doc_id there);
+a null doc_id has component null unless its set equals another's; an empty table gives no rows; other columns are ignored or kept."""
 
 from __future__ import annotations
 
@@ -27,7 +29,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from innersearch.llm.common import annotate, bound_batches, components, materialize, small_side, text_slices
+from innersearch.llm.common import annotate, bound_batches, columns_of, components, fresh, materialize, small_side, text_slices, tidy
 
 WORDS, NUM, DEN = 3, 90, 100
 BLOCK = 1024
@@ -35,8 +37,11 @@ BLOCK = 1024
 RANGES_FROM = (85, 100)
 #: Most ids of one key that a task holds.
 RUN = 4096
-COUNTER_BITS = 18
-COUNTERS = 2**COUNTER_BITS
+#: Most shingles that are known as common (16 bytes each, broadcast), and most that a task counts at a time.
+COMMON = 2**18
+TASK_COMMON = 2**17
+#: Key rows that a task chains at a time before it sends them.
+FLUSH = 2**19
 LEAF, FAN = 16, 4
 
 _FOLD = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
@@ -126,47 +131,89 @@ def least_linkable(num: int, den: int) -> int:
     return -(-num // (den - num)) if den > num else 2**62
 
 
-def prefix_keys(s: np.ndarray, rank: np.ndarray, num: int, den: int) -> np.ndarray:
-    """The first elements of a set in the total order: (rank of the counter, rest of the hash), a bijection of the hash."""
-    order = (rank[(s & np.uint64(COUNTERS - 1)).astype(np.int64)] << np.uint64(64 - COUNTER_BITS)) | (s >> np.uint64(COUNTER_BITS))
-    p = len(s) - -(-len(s) * num // den) + 1
-    return (np.partition(order, p - 1)[:p] if p < len(s) else order).view(np.int64)
+class Order:
+    """The total order of shingles: those not common by hash, then the common ones by count.  Common ones with over RUN
+    sets are hot."""
+
+    def __init__(self, hashes: np.ndarray, counts: np.ndarray):
+        at = np.argsort(hashes)
+        self.hashes, counts = hashes[at], counts[at]
+        self.rank = np.empty(len(at), np.int64)
+        self.rank[np.lexsort((self.hashes, counts))] = np.arange(len(at))
+        self.hot = self.hashes[counts > RUN].view(np.int64)
+
+    def prefix(self, s: np.ndarray, num: int, den: int) -> np.ndarray:
+        """The first elements of a sorted set, as keys."""
+        p = len(s) - -(-len(s) * num // den) + 1
+        if len(self.hashes):
+            at = np.minimum(np.searchsorted(self.hashes, s), len(self.hashes) - 1)
+            common = self.hashes[at] == s
+            rare = s[~common]
+            if len(rare) < p:
+                known = at[common]
+                s = np.concatenate([rare, self.hashes[known[np.argsort(self.rank[known])]]])
+            else:
+                s = rare
+        return s[:p].view(np.int64)
+
+
+def _merged(keys: np.ndarray, counts: np.ndarray, more: list[np.ndarray], most: int) -> tuple[np.ndarray, np.ndarray]:
+    """Counts of keys with those of further hashes; beyond `most` keys all counts lose what the first key left out has
+    (a frequent-items summary: a key found more often than all hashes / `most` stays)."""
+    k, n = np.unique(np.concatenate(more), return_counts=True)
+    every, at = np.unique(np.concatenate([keys, k]), return_inverse=True)
+    total = np.bincount(at, np.concatenate([counts, n]), len(every)).astype(np.int64)
+    if len(every) > most:
+        total -= np.partition(total, len(total) - most - 1)[len(total) - most - 1]
+        every, total = every[total > 0], total[total > 0]
+    return every, total
 
 
-def counter_ranks(docs: DataFrame, words: int) -> np.ndarray:
-    """Ranks of the 2^18 counters by the number of sets with a shingle in each, ties by counter.
+def common_shingles(docs: DataFrame, words: int) -> Order:
+    """The order by the most frequent shingles of docs.
 
-    Tasks add up their own counters, so at most 2^18 rows a task are shuffled and 2^18 reach the driver."""
+    A task sends at most TASK_COMMON rows (those found twice or more), and at most COMMON reach the driver: all
+    whose count is in the upper classes, four to each power of two, that COMMON holds whole."""
 
     def run(batches):
         import pyarrow as pa
 
-        total = np.zeros(COUNTERS, np.int64)
+        keys, counts, held, n = np.zeros(0, np.uint64), np.zeros(0, np.int64), [], 0
         for batch in batches:
             texts = batch.column(0).cast(pa.large_binary())
             for at, end in text_slices(texts):
-                for s in shingle_sets(texts[at:end].to_pylist(), words):
-                    np.add.at(total, (s & np.uint64(COUNTERS - 1)).astype(np.int64), 1)
-        at = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], names=["counter", "n"])
-
-    got = docs.select("text").mapInArrow(run, "counter int, n long").groupBy("counter").agg(F.sum("n").alias("n")).toPandas()
-    counts = np.zeros(COUNTERS, np.int64)
-    counts[got["counter"].to_numpy(np.int64)] = got["n"].to_numpy(np.int64)
-    rank = np.empty(COUNTERS, np.uint64)
-    rank[np.argsort(counts, kind="stable")] = np.arange(COUNTERS, dtype=np.uint64)
-    return rank
+                sets = shingle_sets(texts[at:end].to_pylist(), words)
+                held += sets
+                n += sum(len(s) for s in sets)
+                if n >= 8 * TASK_COMMON:
+                    keys, counts = _merged(keys, counts, held, TASK_COMMON)
+                    held, n = [], 0
+        if held:
+            keys, counts = _merged(keys, counts, held, TASK_COMMON)
+        often = counts > 1
+        yield pa.RecordBatch.from_arrays([pa.array(keys[often].view(np.int64)), pa.array(counts[often])], names=["h", "n"])
+
+    found = docs.select("text").mapInArrow(tidy(run), "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
+    found = materialize(found.withColumn("class", F.floor(4 * F.log2("n")).cast("int")), "common_shingles")
+    held, least = 0, 2**31 - 1
+    for r in sorted(found.groupBy("class").agg(F.count("*").alias("rows")).collect(), reverse=True):
+        held += r["rows"]
+        if held > COMMON:
+            break
+        least = r["class"]
+    got = found.where(F.col("class") >= least).select("h", "n").toPandas()
+    return Order(got["h"].to_numpy(np.int64).view(np.uint64), got["n"].to_numpy(np.int64))
 
 
 def _prints(s: np.ndarray) -> tuple[int, int, int]:
-    """Two fingerprints of a set, and the node id made of them (collisions only add candidates)."""
+    """Two fingerprints of a set, and the node id made of them (not 0; collisions only add candidates)."""
     f1, f2 = (mixed(s, salt).sum(dtype=np.uint64) for salt in (21, 22))
     node = mixed(np.array([f1], np.uint64) ^ mixed(np.array([f2], np.uint64), len(s) & 0xFFFF), 23)[0]
-    return int(f1.astype(np.int64)), int(f2.astype(np.int64)), int(node.astype(np.int64))
+    return int(f1.astype(np.int64)), int(f2.astype(np.int64)), int(node.astype(np.int64)) or 1
 
 
 def set_table(docs: DataFrame, words: int) -> DataFrame:
-    """doc_id, n, fingerprint (f1, f2), node id and bitmap of every row."""
+    """doc_id, th, n, fingerprint (f1, f2), node id and bitmap of every row."""
 
     def make():
         def work(texts):
@@ -176,36 +223,62 @@ def set_table(docs: DataFrame, words: int) -> DataFrame:
 
         return work
 
-    return annotate(docs, ["doc_id"], "n long, f1 long, f2 long, node long, bits binary", make)
+    return annotate(docs, ["doc_id", "th"], "n long, f1 long, f2 long, node long, bits binary", make)
+
+
+def _sent(keys: list[np.ndarray], ids: list[int], hot: np.ndarray | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rows (key, id, to) of sets: with `to` 0 the key is the id's; else id and to are chained.
+
+    Keys in `hot` (None: all) send one id, the least, which is chained with the others."""
+    v = np.repeat(np.array(ids, np.int64), [len(k) for k in keys])
+    k = np.concatenate(keys)
+    at = np.lexsort((v, k))
+    k, v = k[at], v[at]
+    new = np.concatenate([[True], k[1:] != k[:-1]])
+    head = v[np.maximum.accumulate(np.where(new, np.arange(len(k)), 0))]
+    tied = np.ones(len(k), bool) if hot is None else np.isin(k, hot)
+    own, other = new | ~tied, tied & ~new & (head != v)
+    pairs = np.unique(np.stack([head[other], v[other]], 1), axis=0)
+    any_key = mixed(pairs[:, 0].view(np.uint64) ^ mixed(np.ascontiguousarray(pairs[:, 1]).view(np.uint64), 51)).view(np.int64) if len(pairs) else np.zeros(0, np.int64)
+    return np.concatenate([k[own], any_key]), np.concatenate([v[own], pairs[:, 0]]), np.concatenate([np.zeros(int(own.sum()), np.int64), pairs[:, 1]])
 
 
 def key_table(docs: DataFrame, words: int, num: int, den: int, ranges: bool) -> DataFrame:
-    """Rows (key, id) of the range or prefix keys of every set, id its node; equal sets in a slice of texts give one."""
-    shared = None if ranges else docs.sparkSession.sparkContext.broadcast(counter_ranks(docs, words))
+    """Rows (key, id, to) of the range or prefix keys of every set, id its node (see _sent).
+
+    Equal sets of a slice of texts give one row for each key; so do, of a hot key, all sets that a task holds at a time."""
+    shared = None if ranges else docs.sparkSession.sparkContext.broadcast(common_shingles(docs, words))
     classes = size_classes(num, den) if ranges else []
     least = least_linkable(num, den)
 
     def run(batches):
         import pyarrow as pa
 
+        def out():
+            return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(x)) for x in _sent(list(made.values()), list(made), None if ranges else shared.value.hot)], names=["key", "id", "to"])
+
+        made: dict[int, np.ndarray] = {}
+        n = 0
         for batch in batches:
             texts = batch.column(0).cast(pa.large_binary())
             for at, end in text_slices(texts):
-                made: dict[int, np.ndarray] = {}
                 for s in shingle_sets(texts[at:end].to_pylist(), words):
                     if len(s) >= least:
                         node = _prints(s)[2]
                         if node not in made:
-                            made[node] = range_keys(s, classes, num, den) if ranges else prefix_keys(s, shared.value, num, den)
-                if made:
-                    ids = np.repeat(np.array(list(made), np.int64), [len(k) for k in made.values()])
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(list(made.values()))), pa.array(ids)], names=["key", "id"])
+                            made[node] = (range_keys(s, classes, num, den) if ranges else shared.value.prefix(s, num, den)).copy()
+                            n += len(made[node])
+                if n >= FLUSH:
+                    yield out()
+                    made, n = {}, 0
+        if made:
+            yield out()
 
-    return docs.select("text").mapInArrow(run, "key long, id long")
+    return docs.select("text").mapInArrow(tidy(run), "key long, id long, to long")
 
 
 def chained(keys: DataFrame) -> DataFrame:
-    """Distinct pairs (a, b) of the least id and each other id of the rows (key, id) with one key.
+    """Distinct pairs (a, b) of the least id and each other id of the rows (key, id, to) with one key, and the pairs (id, to).
 
     One shuffle by key; a task streams its sorted rows."""
 
@@ -214,28 +287,30 @@ def chained(keys: DataFrame) -> DataFrame:
 
         last_key = least = None
         for batch in batches:
-            k, v = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            if not len(k):
-                continue
-            new = np.concatenate([[last_key is None or k[0] != last_key], k[1:] != k[:-1]])
-            heads = np.where(new, v, 0)
-            if not new[0]:
-                heads[0] = least
-            at = np.maximum.accumulate(np.where(new, np.arange(len(k)), 0))
-            head = heads[at]
-            last_key, least = k[-1], head[-1]
-            other = head != v
-            pairs = np.unique(np.stack([head[other], v[other]], 1), axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
-
-    return keys.repartition("key").sortWithinPartitions("key", "id").mapInArrow(run, "a long, b long").distinct()
+            k, v, to = (batch.column(i).to_numpy() for i in range(3))
+            sure = np.stack([v, to], 1)[to != 0]
+            k, v = k[to == 0], v[to == 0]
+            if len(k):
+                new = np.concatenate([[last_key is None or k[0] != last_key], k[1:] != k[:-1]])
+                heads = np.where(new, v, 0)
+                if not new[0]:
+                    heads[0] = least
+                at = np.maximum.accumulate(np.where(new, np.arange(len(k)), 0))
+                head = heads[at]
+                last_key, least = k[-1], head[-1]
+                other = head != v
+                sure = np.concatenate([sure, np.stack([head[other], v[other]], 1)])
+            pairs = np.unique(sure, axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0].copy()), pa.array(pairs[:, 1].copy())], names=["a", "b"])
+
+    return keys.repartition("key").sortWithinPartitions("key", "id").mapInArrow(tidy(run), "a long, b long").distinct()
 
 
 def key_groups(keys: DataFrame) -> DataFrame:
     """Distinct rows (grp, id, chained) of the ids that share a key: groups with the same ids are one group.
 
     One shuffle by key; a task streams its sorted rows and holds one run of equal keys, up to RUN ids.  A longer run
-    becomes chained pairs, the least id with each other one, which all count as possible links."""
+    becomes chained pairs, the least id with each other one, which all count as possible links, as do the pairs (id, to)."""
 
     def run(batches):
         import pyarrow as pa
@@ -254,16 +329,21 @@ def key_groups(keys: DataFrame) -> DataFrame:
             pairs = np.unique(np.stack([g, v], 1), axis=0) if len(g) else np.zeros((0, 2), np.int64)
             return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1]), pa.array(np.full(len(pairs), chained))], names=["grp", "id", "chained"])
 
-        def chain(least: int, v: np.ndarray):
-            v = np.unique(v[v != least])
-            g = mixed(np.stack([np.full(len(v), least), v]).view(np.uint64), 41).sum(0, dtype=np.uint64).view(np.int64)
-            return batch_of(np.repeat(g, 2), np.stack([np.full(len(v), least), v], 1).ravel(), True)
+        def chain(least: int | np.ndarray, v: np.ndarray):
+            pairs = np.stack(np.broadcast_arrays(least, v), 1)
+            pairs = np.unique(pairs[pairs[:, 0] != pairs[:, 1]], axis=0)
+            g = mixed(np.ascontiguousarray(pairs).view(np.uint64), 41).sum(1, dtype=np.uint64).view(np.int64)
+            return batch_of(np.repeat(g, 2), pairs.ravel(), True)
 
         k, v, hot = np.zeros(0, np.int64), np.zeros(0, np.int64), None
         for batch in batches:
             if not batch.num_rows:
                 continue
-            k, v = np.concatenate([k, batch.column(0).to_numpy()]), np.concatenate([v, batch.column(1).to_numpy()])
+            key, id_, to = (batch.column(i).to_numpy() for i in range(3))
+            own = to == 0
+            if not own.all():
+                yield chain(id_[~own], to[~own])
+            k, v = np.concatenate([k, key[own]]), np.concatenate([v, id_[own]])
             if hot is not None:
                 n = int(np.searchsorted(k, hot[0], "right"))
                 if n:
@@ -283,7 +363,7 @@ def key_groups(keys: DataFrame) -> DataFrame:
         if len(k):
             yield batch_of(*rows(k, v))
 
-    return keys.repartition("key").sortWithinPartitions("key", "id").mapInArrow(run, "grp long, id long, chained boolean").distinct()
+    return keys.repartition("key").sortWithinPartitions("key", "id").mapInArrow(tidy(run), "grp long, id long, chained boolean").distinct()
 
 
 def possible_links(groups: DataFrame, maps: DataFrame, num: int, den: int) -> DataFrame:
@@ -309,30 +389,43 @@ def possible_links(groups: DataFrame, maps: DataFrame, num: int, den: int) -> Da
             yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in out]), pa.array([p[1] for p in out])], names=["a", "b"])
 
     met = maps.join(small_side(groups.where("not chained").select("grp", "id")), F.col("node") == F.col("id")).select("grp", "id", "n", "bits")
-    found = met.repartition("grp").sortWithinPartitions("grp", "n").mapInArrow(run, "a long, b long")
+    found = met.repartition("grp").sortWithinPartitions("grp", "n").mapInArrow(tidy(run), "a long, b long")
     pairs = groups.where("chained").groupBy("grp").agg(F.min("id").alias("a"), F.max("id").alias("b")).select("a", "b")
     return found.unionByName(pairs).distinct()
 
 
 def _possible(held: list[tuple[int, int, bytes]], num: int, den: int) -> list[tuple[int, int]]:
-    if len(held) < 2:
-        return []
-    least = min(len(m) for _, _, m in held) // 8
-    maps = []
-    for _, _, m in held:
-        x = np.frombuffer(m, np.uint64)
-        while len(x) > least:
-            x = x[: len(x) // 2] | x[len(x) // 2 :]
-        maps.append(x)
-    block = Block([i for i, _, _ in held], None, num, den, np.array([n for _, n, _ in held], np.int64), np.stack(maps))
-    block.join_self()
-    return block.forest()
-
-
-def bitmap(s: np.ndarray) -> np.ndarray:
-    """About 4 bits an element, a power of two from 256 to 2^15, at the low bits of the hashes: a larger map folds to
-    a smaller one by OR of its halves."""
-    bits = 1 << int(min(15, max(8, len(s).bit_length() + 2)))
+    """A forest of the pairs that bitmaps and sizes of (id, size, bitmap) leave possible.
+
+    Bitmaps of one width make one tree; a tree of wider ones is folded only to meet the narrower one, and only with
+    the sets whose size allows that."""
+    by: dict[int, list] = {}
+    for i, n, m in held:
+        by.setdefault(len(m) // 8, []).append((i, n, np.frombuffer(m, np.uint64)))
+
+    def tree(some: list, width: int) -> Block:
+        maps = np.stack([m.reshape(-1, width) for _, _, m in some])
+        return Block([i for i, _, _ in some], None, num, den, np.array([n for _, n, _ in some], np.int64), np.bitwise_or.reduce(maps, 1))
+
+    out = []
+    for width, some in by.items():
+        if len(held) == len(some) == 1:
+            return []
+        own = tree(some, width)
+        own.join_self()
+        out += own.forest()
+        most = int(own.n.max()) * den
+        for wider in by:
+            met = [x for x in by[wider] if x[1] * num <= most] if wider > width else []
+            if met:
+                out += own.links_with(tree(met, width))
+    return out
+
+
+def bitmap(s: np.ndarray, spare: int = 2) -> np.ndarray:
+    """From 2^spare to twice as many bits an element, a power of two from 256 to 2^15, at the low bits of the hashes: a larger
+    map folds to a smaller one by OR of its halves."""
+    bits = 1 << int(min(15, max(8, len(s).bit_length() + spare)))
     at = (s & np.uint64(bits - 1)).astype(np.int64)
     flags = np.zeros(bits, np.uint8)
     flags[at] = 1
@@ -354,7 +447,8 @@ class Block:
         else:
             self.ids, self.sets, self.n, self.maps = ids, None, n, maps
         self.extra = self.n - np.bitwise_count(self.maps).sum(1, dtype=np.int64)
-        self.label = np.unique(np.array(self.ids, np.int64), return_inverse=True)[1]
+        number = {x: i for i, x in enumerate(dict.fromkeys(self.ids))}
+        self.label = np.array([number[x] for x in self.ids], np.int64)
         self.levels = self._build()
 
     @staticmethod
@@ -460,9 +554,10 @@ class Block:
 
 
 def joined_tasks(rows: DataFrame, words: int, num: int, den: int) -> DataFrame:
-    """Links (a, b), as a spanning forest, of rows (task, side, id, text) with one task.
+    """Links (a, b) of nodes (id, f), as a spanning forest, of rows (task, side, node, text) with one task.
 
-    Side 0 is joined with itself if there is no side 1, else with side 1.  A worker holds one task's sets."""
+    Side 0 is joined with itself if there is no side 1, else with side 1.  A worker holds one task's sets.  A text that
+    does not have the fingerprint f of its node belongs to another row of the doc_id and is left out."""
 
     def run(batches):
         import pyarrow as pa
@@ -470,8 +565,8 @@ def joined_tasks(rows: DataFrame, words: int, num: int, den: int) -> DataFrame:
         def solve(held):
             sides = []
             for side in (0, 1):
-                some = {(i, sig.tobytes()): sig for s, i, sig in held if s == side and len(sig)}
-                sides.append(Block([i for i, _ in some], list(some.values()), num, den) if some else None)
+                some = {i: sig for s, i, sig in held if s == side and len(sig)}
+                sides.append(Block(list(some), list(some.values()), num, den) if some else None)
             if sides[0] is None:
                 return []
             if sides[1] is None:
@@ -482,37 +577,48 @@ def joined_tasks(rows: DataFrame, words: int, num: int, den: int) -> DataFrame:
             return [p for p in sides[0].links_with(sides[1]) if p[0] != p[1]]
 
         def out(pairs):
-            return pa.RecordBatch.from_arrays([pa.array([p[0] for p in pairs], pa.int64()), pa.array([p[1] for p in pairs], pa.int64())], names=["a", "b"])
+            return pa.RecordBatch.from_arrays([pa.array([p[k][j] for p in pairs], pa.int64()) for k in (0, 1) for j in (0, 1)], names=["ai", "af", "bi", "bf"])
 
         now, held = None, []
         for batch in batches:
             pairs = []
-            texts = batch.column(3).cast(pa.large_binary())
+            texts = batch.column(4).cast(pa.large_binary())
             for at, end in text_slices(texts):
                 m = end - at
                 sets = shingle_sets(texts.slice(at, m).to_pylist(), words)
-                for task, side, i, sig in zip(*[batch.column(c).slice(at, m).to_pylist() for c in range(3)], sets, strict=True):
+                for task, side, i, f, sig in zip(*[batch.column(c).slice(at, m).to_pylist() for c in range(4)], sets, strict=True):
                     if task != now:
                         pairs += solve(held)
                         now, held = task, []
-                    held.append((side, i, sig))
+                    if _prints(sig)[0] == f:
+                        held.append((side, (i, f), sig.copy()))
             if pairs:
                 yield out(pairs)
         pairs = solve(held)
         if pairs:
             yield out(pairs)
 
-    return rows.repartition("task").sortWithinPartitions("task", "side", "id").mapInArrow(run, "a long, b long")
+    flat = rows.select("task", "side", "node.id", "node.f", "text")
+    found = flat.repartition("task").sortWithinPartitions("task", "side", "id", "f").mapInArrow(tidy(run), "ai long, af long, bi long, bf long")
+    return found.select(F.struct(F.col("ai").alias("id"), F.col("af").alias("f")).alias("a"), F.struct(F.col("bi").alias("id"), F.col("bf").alias("f")).alias("b"))
 
 
 def similar_components(docs: DataFrame, words: int = WORDS, num: int = NUM, den: int = DEN, block: int = BLOCK) -> DataFrame:
     """doc_id, n_shingles, component_id of every row of docs(doc_id, text)."""
+    return row_components(docs, words, num, den, block).drop("th")
+
+
+def row_components(docs: DataFrame, words: int = WORDS, num: int = NUM, den: int = DEN, block: int = BLOCK) -> DataFrame:
+    """similar_components with th, the xxhash64 of the text.
+
+    A set is known by its node: the least doc_id of its rows and a fingerprint, for one doc_id may have several sets."""
     bound_batches(docs.sparkSession)
-    narrow = docs.select("doc_id", "text")
+    narrow = docs.select("doc_id", "text", F.xxhash64("text").alias("th"))
     sets = materialize(set_table(narrow, words), "sets")
     groups = sets.where("n > 0").groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min("node").alias("g_node"), F.first("bits").alias("bits"))
     groups = materialize(groups, "set_groups")
-    reps = groups.where("rep is not null").select("rep", "g_node")
+    node_of = lambda i: F.struct(F.col(i).alias("id"), F.col("f1").alias("f"))
+    reps = groups.where("rep is not null").select(node_of("rep").alias("set_node"), "g_node")
     ranges = num * RANGES_FROM[1] >= den * RANGES_FROM[0]
     # a set without a rep must not be the least id of a key, or the other ids of the key are tied to nothing
     keys = key_table(narrow.where("doc_id is not null"), words, num, den, ranges)
@@ -527,11 +633,11 @@ def similar_components(docs: DataFrame, words: int = WORDS, num: int = NUM, den:
     sizes = parts.groupBy("part").agg(F.count("*").alias("members"))
     members = parts.join(sizes.where(F.col("members") > block), "part", "left").select("node", "part", F.coalesce("members", F.lit(0)).alias("members"))
     small = members.where("members = 0").select("node", "part")
-    texts = narrow.withColumnRenamed("doc_id", "id")
+    texts = narrow.select(F.col("doc_id").alias("t_id"), "text")
 
     def tasks(rows: DataFrame, task) -> DataFrame:
         asked = small_side(rows.select(task.alias("task"), "side", "node"))
-        return texts.join(asked, F.col("node") == F.col("id")).select("task", "side", "id", "text")
+        return texts.join(asked, F.col("node.id") == F.col("t_id")).select("task", "side", "node", "text")
 
     links = joined_tasks(tasks(small.withColumn("side", F.lit(0)), F.struct("part", F.lit(0).alias("x"), F.lit(0).alias("y"))), words, num, den)
     links = materialize(links, "links")
@@ -542,9 +648,9 @@ def similar_components(docs: DataFrame, words: int = WORDS, num: int = NUM, den:
         links = links.toDF("node", "label")
     final = links.where("node != label").distinct()
     many = groups.where("copies > 1").select("n", "f1", "f2", F.col("rep").alias("of"))
-    out = sets.select("doc_id", "n", "f1", "f2").join(many, ["n", "f1", "f2"], "left").withColumn("of", F.coalesce("of", "doc_id"))
-    out = out.join(final, F.col("of") == F.col("node"), "left")
-    return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("label", "of").alias("component_id"))
+    out = sets.select("doc_id", "th", "n", "f1", "f2").join(many, ["n", "f1", "f2"], "left").withColumn("of", F.coalesce("of", "doc_id"))
+    out = out.join(final, node_of("of") == F.col("node"), "left")
+    return out.select("doc_id", "th", F.col("n").alias("n_shingles"), F.coalesce("label.id", "of").alias("component_id"))
 
 
 def _large_links(large: DataFrame, tasks, words: int, num: int, den: int, block: int) -> DataFrame:
@@ -571,9 +677,14 @@ def _large_links(large: DataFrame, tasks, words: int, num: int, den: int, block:
 def keep_one(docs: DataFrame, **options: int) -> DataFrame:
     """docs with one row - the least doc_id - of each component of similar texts.
 
-    Rows without a doc_id stay, except that of repeated doc_ids one row stays."""
-    found = materialize(similar_components(docs, **options), "components")
-    per = found.where("doc_id is not null").groupBy("doc_id").agg(F.max((F.col("doc_id") == F.col("component_id")).cast("int")).alias("head"), F.count("*").alias("rows"))
-    per = materialize(per.where("head = 0 or rows > 1"), "not_alone")
-    kept = docs.join(small_side(per.where("head = 0").select(F.col("doc_id").alias("__gone"))), F.col("doc_id") == F.col("__gone"), "left_anti")
-    return kept if per.where("rows > 1").isEmpty() else kept.dropDuplicates(["doc_id"])
+    Rows without a doc_id stay.  Of rows with one doc_id, each goes or stays by its own text, and one of equal rows stays."""
+    found = materialize(row_components(docs, **options), "components").where("doc_id is not null")
+    gone, again, th = (fresh(docs.columns, n) for n in ("gone", "again", "th"))
+    rows = docs.withColumn(th, F.xxhash64("text"))
+    lost = small_side(found.where("doc_id != component_id").select(F.col("doc_id").alias(gone), F.col("th").alias(again)).distinct())
+    kept = rows.join(lost, (F.col("doc_id") == F.col(gone)) & (F.col(th) == F.col(again)), "left_anti")
+    twice = materialize(found.where("doc_id = component_id").groupBy("doc_id").agg(F.count("*").alias("rows")).where("rows > 1").select(F.col("doc_id").alias(gone)), "repeated")
+    if not twice.isEmpty():
+        met = F.col("doc_id") == F.col(gone)
+        kept = kept.join(small_side(twice), met, "left_anti").unionByName(kept.join(small_side(twice), met, "left_semi").dropDuplicates(["doc_id"]))
+    return kept.select(*columns_of(docs))
