@@ -14,14 +14,14 @@ of its interval (by doc_id and line) is a later copy, and its lines are deleted.
 Defined cases: null and empty texts have no lines; lines are compared without white space at their ends; lines without
 words neither break a run nor count and are deleted if they lie inside a deleted run; rows with equal doc_id and
 text are one document (all of them get its result); null doc_id sorts first; an empty table gives no rows; other
-columns are ignored by the digest and kept by `drop_copies`."""
+columns are ignored by the digest and kept by `drop_copies`, whatever their names."""
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from innersearch.llm.common import SPACES, WORD, materialize, text_or_empty
+from innersearch.llm.common import SPACES, WORD, columns_of, fresh, materialize, text_or_empty
 
 MIN_WORDS = 50
 _KEY = ("doc_id", "th")
@@ -133,11 +133,12 @@ def find_copies(docs: DataFrame, min_words: int = MIN_WORDS) -> tuple[DataFrame,
 def drop_copies(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """docs without the later copies; a document left without a line with a word is dropped."""
     _, gone = find_copies(docs, min_words)
-    gone = gone.select(F.col("doc_id").alias("g_id"), F.col("th").alias("g_th"), F.col("deleted").alias("g_lines"))
-    met = docs.withColumn("g_text_hash", F.xxhash64(text_or_empty())).join(gone, F.col("doc_id").eqNullSafe(F.col("g_id")) & (F.col("g_text_hash") == F.col("g_th")), "left")
-    left = F.array_join(F.filter(F.transform(F.split("text", "\n"), lambda line, i: F.when(~F.array_contains("g_lines", i), line)), lambda x: x.isNotNull()), "\n")
-    met = met.withColumn("text", F.when(F.col("g_lines").isNull(), F.col("text")).otherwise(left))
-    return met.where(F.col("g_lines").isNull() | F.rlike("text", F.lit(WORD))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    g_id, g_th, g_lines, th = (fresh(docs.columns, n) for n in ("id", "th", "lines", "text_hash"))
+    gone = gone.select(F.col("doc_id").alias(g_id), F.col("th").alias(g_th), F.col("deleted").alias(g_lines))
+    met = docs.withColumn(th, F.xxhash64(text_or_empty())).join(gone, F.col("doc_id").eqNullSafe(F.col(g_id)) & (F.col(th) == F.col(g_th)), "left")
+    left = F.array_join(F.filter(F.transform(F.split("text", "\n"), lambda line, i: F.when(~F.array_contains(g_lines, i), line)), lambda x: x.isNotNull()), "\n")
+    met = met.withColumn("text", F.when(F.col(g_lines).isNull(), F.col("text")).otherwise(left))
+    return met.where(F.col(g_lines).isNull() | F.rlike("text", F.lit(WORD))).select(*columns_of(docs))
 
 
 def copy_digest(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:

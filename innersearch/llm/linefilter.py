@@ -6,14 +6,14 @@ short (under 50 words) or repeat themselves (over half of their words in 3-word
 
 Defined cases: null and empty texts have no words and fail; lines are split at \\n, a carriage return at the end
 counts as white space; lines without words are kept but count for nothing; repeated rows are rows of their own; an
-empty table gives no rows; other columns are ignored by the digest and kept by `clean`."""
+empty table gives no rows; other columns are ignored by the digest and kept by `clean`, whatever their names."""
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from innersearch.llm.common import SPACES, text_or_empty
+from innersearch.llm.common import SPACES, columns_of, fresh, text_or_empty
 
 SYMBOLS = "#*$%&|<>"
 MIN_WORDS, MAX_REPEAT = 50, 50
@@ -68,31 +68,31 @@ def judged_lines(text: Column) -> Column:
     return F.transform(F.array(with_n), lambda ls: F.transform(ls, lambda x, k: F.struct(x["line"].alias("line"), x["words"].alias("words"), line_kept(x["line"], x["words"], k == F.size(ls) - 1).alias("kept"))))[0]
 
 
-def measured(docs: DataFrame) -> DataFrame:
-    """docs with the struct __line: counts, verdicts and the cleaned text."""
-    d = docs.withColumn("__text", text_or_empty()).withColumn("__words", split_words(F.col("__text"))).withColumn("__lines", judged_lines(F.col("__text")))
-    full = F.filter("__lines", lambda x: x["words"] > 0)
-    n = F.size("__words").cast("long")
-    repeat = repeat_words(F.col("__words"))
-    kept_lines = F.filter("__lines", lambda x: x["kept"])
+def measured(docs: DataFrame, name: str) -> DataFrame:
+    """docs with the struct `name`: counts, verdicts and the cleaned text."""
+    text, words, lines = (fresh([*docs.columns, name], n) for n in ("text", "words", "lines"))
+    d = docs.withColumn(text, text_or_empty()).withColumn(words, split_words(F.col(text))).withColumn(lines, judged_lines(F.col(text)))
+    full = F.filter(lines, lambda x: x["words"] > 0)
+    n = F.size(words).cast("long")
+    repeat = repeat_words(F.col(words))
+    kept_lines = F.filter(lines, lambda x: x["kept"])
     total = lambda xs: F.aggregate(xs, F.lit(0), lambda a, x: a + x["words"])
     d = d.withColumn(
-        "__line",
+        name,
         F.struct(
             n.alias("n_words"),
-            (F.length("__text") - n_chars_of(F.col("__text"), SPACES)).cast("long").alias("word_chars"),
-            n_chars_of(F.col("__text"), SYMBOLS).cast("long").alias("n_symbols"),
+            (F.length(text) - n_chars_of(F.col(text), SPACES)).cast("long").alias("word_chars"),
+            n_chars_of(F.col(text), SYMBOLS).cast("long").alias("n_symbols"),
             (F.size(full) - F.size(F.array_distinct(F.transform(full, lambda x: x["line"])))).cast("long").alias("n_dup_lines"),
             repeat.alias("n_repeat_words"),
             F.array_join(F.transform(kept_lines, lambda x: x["line"]), "\n").alias("cleaned"),
             total(kept_lines).cast("long").alias("words_left"),
         ),
     )
-    return d.drop("__text", "__words", "__lines")
+    return d.drop(text, words, lines)
 
 
-def verdicts() -> tuple[Column, Column]:
-    x = F.col("__line")
+def verdicts(x: Column) -> tuple[Column, Column]:
     failed = (x["n_words"] < MIN_WORDS) | (100 * x["n_repeat_words"] > MAX_REPEAT * x["n_words"])
     return failed, ~failed & (x["words_left"] >= (1 - MAX_LOST) * x["n_words"])
 
@@ -101,11 +101,12 @@ def clean(docs: DataFrame) -> DataFrame:
     """docs that pass, their texts without the failing lines.
 
     The generator keeps the filter above the measures, which would else be computed again for it."""
-    found = measured(docs).withColumn("__line", F.explode(F.array("__line")))
-    return found.where(verdicts()[1]).withColumn("text", F.col("__line")["cleaned"]).select(*[F.col(f"`{c}`") for c in docs.columns])
+    line = fresh(docs.columns, "line")
+    found = measured(docs, line).withColumn(line, F.explode(F.array(line)))
+    return found.where(verdicts(F.col(line))[1]).withColumn("text", F.col(line)["cleaned"]).select(*columns_of(docs))
 
 
 def line_digest(docs: DataFrame) -> DataFrame:
-    failed, kept = verdicts()
-    x = F.col("__line")
-    return measured(docs.select("doc_id", "text")).select("doc_id", *[x[c].alias(c) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")], failed.alias("base_failed"), kept.alias("kept"), x["words_left"].alias("words_left"))
+    x = F.col("line")
+    failed, kept = verdicts(x)
+    return measured(docs.select("doc_id", "text"), "line").select("doc_id", *[x[c].alias(c) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")], failed.alias("base_failed"), kept.alias("kept"), x["words_left"].alias("words_left"))

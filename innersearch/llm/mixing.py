@@ -9,15 +9,15 @@ The order is never sorted in one task: keys fall into 4096 bins of their distrib
 the bin on the boundary, and only that bin's rows of each source are sorted.
 
 Defined cases: a null text has no words; null is a source of its own, last in order; an empty source name
-is a source; repeated rows are rows of their own with equal keys (ordered by size); an empty table
-gives no rows; other columns are kept by `mix` and ignored by the digest."""
+is a source; keys hash doc_id and text, so rows of one doc_id differ in key and repeated rows are rows of their own with equal
+keys; an empty table gives no rows; other columns are kept by `mix`, whatever their names, and ignored by the digest."""
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from innersearch.llm.common import WORD, materialize, text_or_empty
+from innersearch.llm.common import SPACES, WORD, columns_of, fresh, materialize, text_or_empty
 
 #: Weights of the sources in order, repeating; share of all words; most epochs of a source.
 WEIGHTS = (5, 2, 1)
@@ -56,17 +56,19 @@ def targets(sizes: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, mo
     return s.select("source", "source_size", F.least("stop", F.col("level") * F.col("w")).alias("target"))
 
 
-def with_keys(docs: DataFrame, size: Column, weight: Column, seed: int) -> DataFrame:
-    """docs with struct column __mix(size, key, bin)."""
-    u = (F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.col("doc_id")), 11).cast("double") + 0.5) / float(2**53)
+def with_keys(docs: DataFrame, size: Column, weight: Column, salt: Column, seed: int) -> DataFrame:
+    """Columns row (struct of all columns of docs), source, and mix: struct(size, key, bin, salt).
+
+    The row is packed, so its columns clash with none made here."""
+    u = (F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.col("doc_id"), salt), 11).cast("double") + 0.5) / float(2**53)
     key = -F.log(u) / weight
     bin_ = F.least(F.lit(BINS - 1), F.floor(BINS * (1 - F.exp(-key)))).cast("int")
-    return docs.withColumn("__mix", F.struct(size.alias("size"), key.alias("key"), bin_.alias("bin")))
+    return docs.select(F.struct(*columns_of(docs)).alias("row"), "source", F.struct(size.alias("size"), key.alias("key"), bin_.alias("bin"), salt.alias("salt")).alias("mix"))
 
 
 def source_plan(keyed: DataFrame) -> DataFrame:
     """One row a source: source_size, target, whole epochs, boundary bin, words left at its start."""
-    bins = keyed.groupBy("source", F.col("__mix.bin").alias("bin")).agg(F.sum("__mix.size").alias("words"))
+    bins = keyed.groupBy("source", F.col("mix.bin").alias("bin")).agg(F.sum("mix.size").alias("words"))
     bins = materialize(bins, "mix_bins")
     sizes = bins.groupBy("source").agg(F.sum("words").alias("source_size"))
     plan = targets(sizes).withColumn("epochs", F.coalesce(F.floor(F.try_divide("target", "source_size")), F.lit(0)).cast("long"))
@@ -84,47 +86,49 @@ def source_plan(keyed: DataFrame) -> DataFrame:
     )
 
 
-def mix(docs: DataFrame, size: Column | None = None, weight: Column | None = None, seed: int = 17) -> DataFrame:
-    """docs(doc_id, text, source, ...) with struct __take(size, source_size, target, epochs, part):
+def mix(docs: DataFrame, size: Column | None = None, weight: Column | None = None, salt: Column | None = None, seed: int = 17) -> DataFrame:
+    """Columns row (struct of all columns of docs(doc_id, text, source, ...)) and take: struct(size, source_size, target, epochs, part):
     the document is taken `epochs` times whole and once up to its first `part` words (0: not)."""
     text = text_or_empty()
-    keyed = with_keys(docs, n_words(text) if size is None else size, quality_weight(text) if weight is None else weight, seed)
+    keyed = with_keys(docs, n_words(text) if size is None else size, quality_weight(text) if weight is None else weight, F.xxhash64(text) if salt is None else salt, seed)
     plan = source_plan(keyed)
     plan = F.broadcast(plan) if plan.count() <= BROADCAST_SOURCES else plan
     met = keyed.join(plan, F.col("source").eqNullSafe(F.col("p_source")))
-    names = [F.col(f"`{c}`") for c in docs.columns]
 
     def take(part: Column) -> list[Column]:
-        return [*names, F.struct(F.col("__mix.size").alias("size"), "source_size", "target", "epochs", part.cast("long").alias("part")).alias("__take")]
+        return [F.col("row"), F.struct(F.col("mix.size").alias("size"), "source_size", "target", "epochs", part.cast("long").alias("part")).alias("take")]
 
-    in_order = Window.partitionBy("p_source").orderBy("__mix.key", "doc_id", "__mix.size").rowsBetween(Window.unboundedPreceding, -1)
-    before = F.coalesce(F.sum("__mix.size").over(in_order), F.lit(0))
-    edge = met.where(F.col("__mix.bin") == F.col("edge_bin")).select(*take(F.greatest(F.lit(0), F.least(F.col("__mix.size"), F.col("left") - before))))
-    rest = met.where(F.col("__mix.bin") != F.col("edge_bin")).select(*take(F.when(F.col("__mix.bin") < F.col("edge_bin"), F.col("__mix.size")).otherwise(0)))
+    in_order = Window.partitionBy("p_source").orderBy("mix.key", "row.doc_id", "mix.salt", "mix.size").rowsBetween(Window.unboundedPreceding, -1)
+    before = F.coalesce(F.sum("mix.size").over(in_order), F.lit(0))
+    edge = met.where(F.col("mix.bin") == F.col("edge_bin")).select(*take(F.greatest(F.lit(0), F.least(F.col("mix.size"), F.col("left") - before))))
+    rest = met.where(F.col("mix.bin") != F.col("edge_bin")).select(*take(F.when(F.col("mix.bin") < F.col("edge_bin"), F.col("mix.size")).otherwise(0)))
     return rest.unionByName(edge)
 
 
 def first_words(text: Column, n: Column) -> Column:
-    """text up to the end of its n-th word."""
-    return F.regexp_extract(text, r"^", 0) if n is None else F.array_join(F.slice(F.regexp_extract_all(text, F.lit(WORD), 0), 1, n.cast("int")), " ")
+    """text up to the end of its n-th word, n from 1; the white space before that stays as it is."""
+    body = F.ltrim(text, F.lit(SPACES))
+    parts = F.split(body, r"[\x20\x09-\x0D]+", (n + 1).cast("int"))
+    rest = F.when(F.size(parts) > n, F.length(F.get(parts, n.cast("int")))).otherwise(0)
+    return F.rtrim(F.left(text, F.length(text) - rest), F.lit(SPACES))
 
 
 def mixed_rows(docs: DataFrame, seed: int = 17) -> DataFrame:
     """The mix itself, with the columns of docs: one row for each time a document is taken; a
-    document on a boundary keeps the words that fit."""
-    taken = mix(docs, seed=seed)
-    t = F.col("__take")
+    document on a boundary keeps the text up to the last word that fits."""
+    t = F.col("take")
     whole = t["epochs"] + F.when((t["part"] > 0) & (t["part"] == t["size"]), 1).otherwise(0)
     cut = (t["part"] > 0) & (t["part"] < t["size"])
-    rows = taken.withColumn("__n", F.explode(F.flatten(F.array(F.array_repeat(F.lit(-1).cast("long"), whole.cast("int")), F.when(cut, F.array(t["part"])).otherwise(F.array().cast("array<long>"))))))
-    text = F.when(F.col("__n") < 0, F.col("text")).otherwise(first_words(F.col("text"), F.col("__n")))
-    return rows.withColumn("text", text).select(*[F.col(f"`{c}`") for c in docs.columns])
+    times = F.flatten(F.array(F.array_repeat(F.lit(-1).cast("long"), whole.cast("int")), F.when(cut, F.array(t["part"])).otherwise(F.array().cast("array<long>"))))
+    rows = mix(docs, seed=seed).select("row", F.explode(times).alias("n"))
+    text = F.when(F.col("n") < 0, F.col("row")["text"]).otherwise(first_words(F.col("row")["text"], F.col("n")))
+    return rows.select(*[text.alias(c) if c == "text" else F.col("row")[c].alias(c) for c in docs.columns])
 
 
 def mix_digest(docs: DataFrame) -> DataFrame:
     """doc_id, size, source_size, target, taken for every row."""
     text = text_or_empty()
-    narrow = materialize(docs.select("doc_id", "source", n_words(text).alias("size"), quality_weight(text).alias("weight")), "mix_rows")
-    t = F.col("__take")
-    out = mix(narrow, F.col("size"), F.col("weight"))
-    return out.select("doc_id", "size", t["source_size"].alias("source_size"), t["target"].alias("target"), (t["epochs"] * t["size"] + t["part"]).alias("taken"))
+    narrow = materialize(docs.select("doc_id", "source", n_words(text).alias("size"), quality_weight(text).alias("weight"), F.xxhash64(text).alias("salt")), "mix_rows")
+    t = F.col("take")
+    out = mix(narrow, F.col("size"), F.col("weight"), F.col("salt"))
+    return out.select("row.doc_id", t["size"].alias("size"), t["source_size"].alias("source_size"), t["target"].alias("target"), (t["epochs"] * t["size"] + t["part"]).alias("taken"))

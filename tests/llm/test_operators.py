@@ -255,7 +255,7 @@ def test_key_groups_of_long_runs(monkeypatch):
     k = np.array([key for key, ids in runs.items() for _ in ids], np.int64)
     v = np.array([i for ids in runs.values() for i in ids], np.int64)
     for size in (1, 2, 4, 100):
-        batches = [pa.RecordBatch.from_arrays([pa.array(k[i : i + size]), pa.array(v[i : i + size])], names=["key", "id"]) for i in range(0, len(k), size)]
+        batches = [pa.RecordBatch.from_arrays([pa.array(x[i : i + size]) for x in (k, v, 0 * v)], names=["key", "id", "to"]) for i in range(0, len(k), size)]
         groups = collections.defaultdict(set)
         for b in sigtree.key_groups(Rows()).f(iter(batches)):
             for g, i, sure in zip(*[c.to_pylist() for c in b.columns], strict=True):
@@ -357,3 +357,94 @@ def test_shards(docs, empty, spark, sf_dir):
     fewer = {r["doc_id"]: r["shard"] for r in ringshard.shard(table, shards=15).collect()}
     stay = sum(fewer[r["doc_id"]] == r["shard"] for r in rows) / len(rows)
     assert stay > 0.5  # most keys keep their shard when one is added
+
+
+@pytest.mark.parametrize("k, num", [(3, 90), (5, 80)])
+def test_rows_of_one_id_keep_their_own_component(spark, k, num):
+    a, b = [f"a{i}" for i in range(60)], [f"b{i}" for i in range(60)]
+    rows = [(5, " ".join(a)), (5, " ".join(b)), (3, " ".join([*a[:-1], "z"])), (2, " ".join(b)), (None, "x y z"), (None, "x y q"), (7, "u v w"), (7, "u v w")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((r["doc_id"], r["component_id"]) for r in sigtree.similar_components(df, k, num, 100).collect() if r["doc_id"] is not None)
+    assert got == [(2, 2), (3, 3), (5, 2), (5, 3), (7, 7), (7, 7)]
+    kept = sigtree.keep_one(df, words=k, num=num, den=100).collect()
+    assert sorted((r["doc_id"] or 0, r["text"]) for r in kept) == sorted([(0, "x y z"), (0, "x y q"), (2, rows[3][1]), (3, rows[2][1]), (7, "u v w")])
+
+
+def test_common_shingles_and_the_prefix_order(spark):
+    """A passage of all rows is known as common and comes last; counts are exact while a task holds them."""
+    import numpy as np
+
+    shared = " ".join(f"s{i}" for i in range(30))
+    df = spark.createDataFrame([(i, f"{shared} " + " ".join(f"o{i}x{j}" for j in range(30))) for i in range(40)], "doc_id long, text string").repartition(1)
+    order = sigtree.common_shingles(df, 5)
+    want = sigtree.shingle_sets([shared.encode()], 5)[0]
+    assert sorted(order.hashes) == sorted(want) and not len(order.hot)
+    s = sigtree.shingle_sets([df.first()["text"].encode()], 5)[0]
+    assert not np.isin(order.prefix(s, 80, 100).view(np.uint64), want).any() and len(order.prefix(s, 80, 100)) == len(s) - -(-len(s) * 80 // 100) + 1
+    k, n = sigtree._merged(np.zeros(0, np.uint64), np.zeros(0, np.int64), [np.repeat(np.arange(100, dtype=np.uint64), [50] * 2 + [1] * 98)], 10)
+    assert set(k.tolist()) == {0, 1}
+
+
+def test_hot_keys_are_chained_before_the_shuffle():
+    import numpy as np
+
+    keys = [np.array([1, 2, 3]), np.array([1, 2]), np.array([1, 9])]
+    for hot, want in ((None, {(1, 5, 0), (2, 5, 0), (3, 5, 0), (9, 8, 0), ("p", 5, 7), ("p", 5, 8)}), (np.array([1]), {(1, 5, 0), (2, 5, 0), (2, 7, 0), (3, 5, 0), (9, 8, 0), ("p", 5, 7), ("p", 5, 8)})):
+        k, v, to = sigtree._sent(keys, [5, 7, 8], hot)
+        assert {("p" if c else a, b, c) for a, b, c in zip(k.tolist(), v.tolist(), to.tolist(), strict=True)} == want and len(k) == len(want)
+
+
+CLASH = ["g_id", "g_lines", "epochs", "target", "p_source", "__take", "take", "row", "n", "mix", "__gone", "__text", "__n0", "__spans", "__items", "__words", "__line", "__lines", "__mix", "__n", "__N_WORDS", "__cut", "__th", "__lang_pred", "c0", "c1", "th", "line", "words"]
+
+
+def test_clashing_names(spark):
+    from pyspark.sql import functions as F
+
+    rows = spark.createDataFrame([(i, f"line one of {i} goes on.\nthe cat sat on the mat " + " ".join(f"w{i}x{j}" for j in range(60)) + ".", "en", "ab"[i % 2]) for i in range(6)] + [(9, None, None, None)], "doc_id long, text string, lang string, source string")
+    wide = rows.select("*", *[F.concat(F.lit(c), F.col("doc_id").cast("string")).alias(c) for c in CLASH])
+    bench = spark.createDataFrame([("i1", "cat sat on the mat")], "item_id string, text string")
+    profiles = langid.train(rows)
+    steps = {
+        "drop_copies": lambda d: linededup.drop_copies(d, 5),
+        "clean": linefilter.clean,
+        "mixed_rows": mixing.mixed_rows,
+        "keep_one": lambda d: sigtree.keep_one(d, words=5, num=80, den=100),
+        "decontaminate": lambda d: decontam.decontaminate(d, bench),
+        "keep_languages": lambda d: langid.keep_languages(d, profiles, least=0.01),
+        "redact": pii.redact,
+    }
+    for name, step in steps.items():
+        got, plain = step(wide), step(rows)
+        assert got.columns == wide.columns, name
+        key = lambda r: str((r["doc_id"], r["text"]))
+        assert sorted(map(key, got.collect())) == sorted(map(key, plain.collect())), name
+        assert got.where(" OR ".join(f"`{c}` != concat('{c}', doc_id)" for c in CLASH)).count() == 0, name
+
+
+def test_first_words_keep_white_space(spark):
+    from pyspark.sql import functions as F
+
+    text = " \n a\n\nb\tc  d\n"
+    df = spark.createDataFrame([(text, n) for n in (1, 2, 3, 4)], "t string, n long")
+    got = {r["n"]: r["x"] for r in df.select("n", mixing.first_words(F.col("t"), F.col("n")).alias("x")).collect()}
+    assert got == {1: " \n a", 2: " \n a\n\nb", 3: " \n a\n\nb\tc", 4: " \n a\n\nb\tc  d"}
+
+
+def test_encoder_caches_are_bounded():
+    coder = tokenids.WordEncoder(tokenizer_path(), 100_000)
+    plain = tokenids.WordEncoder(tokenizer_path())
+    texts = [" ".join(f"w{(i * 7 + j * j) % 5000}ab" for j in range(100)).encode() for i in range(100)] + [b"x" * 300_000]
+    assert [coder.encode(t) for t in texts] == [plain.encode(t) for t in texts]
+    assert coder.words.held <= coder.words.half and len(coder.words.now) + len(coder.words.old) < 100_000 // tokenids.Cache.HEAD
+    long = (" ".join(f"tok{i}" for i in range(300_000)) + " " + "y" * 2_000_000 + " end").encode()
+    assert plain.encode(long) == plain._encoded(long)
+
+
+def test_long_items_are_divided(spark):
+    """One item of more words than an automaton may hold keeps all its windows."""
+    words = [f"w{i}" for i in range(300)]
+    bench = spark.createDataFrame([("big", " ".join(words)), ("other", "p q r")], "item_id string, text string")
+    docs = spark.createDataFrame([(i, " ".join(["a", *words[i : i + 12], "z"])) for i in range(0, 288, 7)], "doc_id long, text string")
+    got = decontam.annotate_hits(docs, bench, ["doc_id"], max_words=40).collect()
+    assert all(r["__spans"] == [1, 13] and r["__items"] == ["big"] for r in got) and len(got) == docs.count()
+    assert sum(1 for _ in decontam.automata(bench, max_words=40)) > 5
