@@ -32,7 +32,7 @@ from innersearch.llm.common import bound_batches, scratch_path, text_slices, tid
 BLOCK_IDS = 16_384
 CHUNK_IDS = 262_144
 #: Bytes that the caches of an encoder may take, about, and the longest word that they hold.
-CACHE_BYTES = 64_000_000
+CACHE_BYTES = 128_000_000
 CACHE_WORD = 64
 #: A longer text is encoded in pieces of this many bytes, cut at white space.
 PIECE_BYTES = 1_000_000
