@@ -41,14 +41,19 @@ def verdict(found: DataFrame, queries: DataFrame, radii: DataFrame, maxn2: float
     return q.select("qid", F.coalesce("n_candidates", F.lit(0)).alias("n_candidates"), "kth", "radius", a.alias("cert_a"), b.alias("cert_b"), nxt.alias("radius_next"))
 
 
-def kth_near(points: DataFrame, queries: DataFrame, k: int, exclude_self: bool = True) -> DataFrame:
-    """qid, radius: the projected distance of the k-th nearest projected neighbour (the greatest if there are fewer)."""
+def kth_near(points: DataFrame, queries: DataFrame, k: int, exclude_self: bool = True, fetch=in_ball, enclosing=None) -> DataFrame:
+    """qid, radius: the projected distance of the k-th nearest projected neighbour (the greatest if there are fewer).
+
+    An index gives a radius that holds k points (`enclosing`); without it all points are looked at."""
     balls = queries.select("qid", "qv", "qpv", F.lit(-1.0).alias("lo"), F.lit(float("inf")).alias("hi"))
-    near = in_ball(points, balls, exclude_self).select("qid", "vec_id", (-F.col("pdist")).alias("near"))
+    if enclosing is not None:
+        reach = enclosing(queries)
+        balls = balls.join(F.broadcast(reach), "qid").withColumn("hi", F.coalesce("reach", "hi")).drop("reach")
+    near = fetch(points, balls, exclude_self).select("qid", "vec_id", (-F.col("pdist")).alias("near"))
     return top_k(near, k, "near").groupBy("qid").agg(F.max(-F.col("near")).alias("radius"))
 
 
-def ball_search(points: DataFrame, queries: DataFrame, radii: DataFrame, maxn2: float, k: int, c: float, chi: float, compensate: bool = True, exclude_self: bool = True, fetch=in_ball) -> tuple[DataFrame, DataFrame]:
+def ball_search(points: DataFrame, queries: DataFrame, radii: DataFrame, maxn2: float, k: int, c: float, chi: float, compensate: bool = True, exclude_self: bool = True, fetch=in_ball, enclosing=None) -> tuple[DataFrame, DataFrame]:
     """hits(qid, rank, vec_id, ip) and stats(qid, n_candidates, radius, radius_final, stop_reason).
 
     Queries that found fewer than k points get a radius that holds k; uncertified ones get the annulus up to the
@@ -59,7 +64,7 @@ def ball_search(points: DataFrame, queries: DataFrame, radii: DataFrame, maxn2:
     short = first.where("kth is null").select("qid").persist()
     base = radii.select("qid", "radius")
     if compensate and not short.isEmpty():
-        wider = kth_near(points, q.join(F.broadcast(short), "qid", "left_semi"), k, exclude_self)
+        wider = kth_near(points, q.join(F.broadcast(short), "qid", "left_semi"), k, exclude_self, fetch, enclosing)
         base = base.join(F.broadcast(wider.withColumnRenamed("radius", "wide")), "qid", "left").select("qid", F.greatest("radius", F.coalesce("wide", F.lit(0.0))).alias("radius")).persist()
         grown = first_pass(points, q.join(F.broadcast(short), "qid", "left_semi"), base, exclude_self, fetch)
         found = found.join(F.broadcast(short), "qid", "left_anti").unionByName(grown).persist()

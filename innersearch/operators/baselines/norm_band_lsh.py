@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from innersearch.functions import transforms
 from innersearch.functions import vectors as V
-from innersearch.operators.exact import top_k
+from innersearch.operators.exact import ranked, top_k
 from innersearch.operators.projection import gaussian_matrix, projected
 from innersearch.operators.signcells import sign_code
 
@@ -17,8 +17,13 @@ BANDS, BITS, EPSILON = 32, 11, 0.1
 
 
 def bands(points: DataFrame, n_bands: int = BANDS) -> DataFrame:
-    """points with n2 and band (1 has the greatest norms)."""
-    return points.withColumn("n2", F.round(V.sq("v"), 12)).withColumn("band", F.ntile(n_bands).over(Window.orderBy(F.desc("n2"), "vec_id")))
+    """points with n2 and band (1 has the greatest norms); the first n mod n_bands bands have a point more."""
+    placed, n = ranked(points.withColumn("n2", F.round(V.sq("v"), 12)), [F.desc("n2"), F.col("vec_id")])
+    size, more = divmod(n, n_bands)
+    at = F.col("place")
+    rest = F.floor((at - more * (size + 1)) / max(1, size)) + more
+    band = F.when(at < more * (size + 1), F.floor(at / (size + 1))).otherwise(rest) + 1
+    return placed.withColumn("band", band.cast("int")).drop("place")
 
 
 def build(points: DataFrame, d: int, n_bands: int = BANDS, bits: int = BITS, seed: int = 42) -> DataFrame:
@@ -41,8 +46,10 @@ def probe_order(index: DataFrame, queries: DataFrame, d: int, bits: int = BITS,
     return both.select("qid", "band", "code", "cnt", score.alias("score"))
 
 
-def search(index: DataFrame, queries: DataFrame, d: int, k: int = 10, budget: int = 200, bits: int = BITS, seed: int = 42) -> DataFrame:
-    """hits of the best buckets until `budget` points are read (the bucket that crosses it is read whole)."""
+def search(index: DataFrame, queries: DataFrame, d: int, k: int = 10, budget: int | None = None, bits: int = BITS, seed: int = 42) -> DataFrame:
+    """hits of the best buckets until `budget` points are read (the bucket that crosses it is read whole); the default is
+    a tenth of the points, at least 200."""
+    budget = budget or max(200, math.ceil(index.count() / 10))
     order = probe_order(index, queries, d, bits, seed)
     w = Window.partitionBy("qid").orderBy(F.desc("score"), "band", "code").rowsBetween(Window.unboundedPreceding, -1)
     chosen = order.withColumn("before", F.coalesce(F.sum("cnt").over(w), F.lit(0))).where(F.col("before") < budget).select("qid", "band", "code")

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from innersearch.functions import vectors as V
 from innersearch.operators.exact import top_k
+from innersearch.operators.kmeans import hash_share
 
 #: Most points that the codebooks are trained on.
 SAMPLE_ROWS = 50_000
@@ -60,7 +61,7 @@ class Codebook:
 def train(points: DataFrame, d: int, subspaces: int = 16, centroids: int = 256, cells: int = 64, rotate: bool = True, residual: bool = True) -> Codebook:
     """Codebooks from a bounded sample (all points if there are fewer), by hash order of ids."""
     n = points.count()
-    some = points if n <= SAMPLE_ROWS else points.where(F.pmod(F.xxhash64("vec_id"), F.lit(10**6)) < int(10**6 * SAMPLE_ROWS / n))
+    some = points if n <= SAMPLE_ROWS else points.where(hash_share("vec_id") < SAMPLE_ROWS / n)
     v = np.array([r[0] for r in some.orderBy("vec_id").select("v").collect()])
     bound2 = float(points.agg(F.max(V.sq("v"))).first()[0])
     pad = -(d + 1) % subspaces

@@ -11,6 +11,7 @@ from innersearch.functions import transforms
 from innersearch.functions import vectors as V
 from innersearch.operators.exact import top_k
 from innersearch.operators.projection import gaussian_matrix, projected
+from innersearch.sources import scratch
 
 RATIO, BASE, LEVELS = 0.75, 2.0, 8
 
@@ -58,13 +59,15 @@ def search(index: DataFrame, queries: DataFrame, d: int, n: int, k: int = 10, c0
 
     Radius levels grow by c0 from a hundredth of the shell's diameter; a point is a candidate of the first level at which
     enough hashes collide; a shell is read up to the level that brings k + 100 candidates.  Shells after the one whose bound
-    times |q| cannot beat the k-th best are masked, by a running count over shells."""
+    times |q| cannot beat the k-th best are masked, by a running count over shells.
+
+    Levels come from the hashes alone; vectors are read, and products made, for the candidates only."""
     from pyspark.sql import Window
 
     by = params(n, c0)
     functions, need, w = by["functions"], by["threshold"], by["w"]
     q = queries.withColumn("qu", F.concat(V.normalize("qv"), F.array(F.lit(0.0)))).withColumn("qh", projected("qu", gaussian_matrix(functions, d + 1, seed))).withColumn("qnorm", V.l2("qv"))
-    both = index.crossJoin(F.broadcast(q.select("qid", "qv", "qh", "qnorm"))).where("vec_id != qid")
+    both = index.select("vec_id", "shell", "bound", "h").crossJoin(F.broadcast(q.select("qid", "qh", "qnorm"))).where("vec_id != qid")
     gaps = F.zip_with("h", "qh", lambda a, b: F.abs(a - b * F.col("bound")))
     base = F.col("bound") / 50
 
@@ -73,11 +76,13 @@ def search(index: DataFrame, queries: DataFrame, d: int, n: int, k: int = 10, c0
 
     levels = F.array(*[F.when(F.size(F.filter(gaps, collides(j))) >= need, F.lit(j)) for j in range(LEVELS)])
     level = F.coalesce(F.array_min(F.filter(levels, lambda x: x.isNotNull())), F.lit(LEVELS))
-    cand = both.select("qid", "vec_id", "shell", "bound", "qnorm", level.alias("level"), V.dot("v", "qv").alias("ip"))
+    cand = scratch.written(both.select("qid", "vec_id", "shell", "bound", "qnorm", level.alias("level")), "levels")
     per = cand.groupBy("qid", "shell", "level").agg(F.count("*").alias("c"))
     before = F.coalesce(F.sum("c").over(Window.partitionBy("qid", "shell").orderBy("level").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     last = per.withColumn("before", before).where(F.col("before") < k + 100).groupBy("qid", "shell").agg(F.max("level").alias("last"))
-    read = cand.join(last, ["qid", "shell"]).where("level <= last")
+    few = scratch.small_side(scratch.written(cand.join(last, ["qid", "shell"]).where("level <= last").drop("last"), "read"))
+    read = index.select("vec_id", "v").join(few, "vec_id").join(F.broadcast(q.select("qid", "qv")), "qid")
+    read = scratch.written(read.select("qid", "vec_id", "shell", "bound", "qnorm", V.dot("v", "qv").alias("ip")), "products")
     # the k-th best of the shells so far is at least the k-th best found in any one of them
     kth = Window.partitionBy("qid", "shell").orderBy(F.desc("ip"), "vec_id")
     best = read.withColumn("rn", F.row_number().over(kth)).where(F.col("rn") == k).select("qid", "shell", "ip")

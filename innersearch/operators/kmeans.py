@@ -13,6 +13,11 @@ from innersearch.functions import vectors as V
 SAMPLE_ROWS = 1_000_000
 
 
+def hash_share(key: str) -> Column:
+    """A number in [0, 1) from a hash of the key, in steps of 2^-53: a sample at any rate keeps its number of rows."""
+    return F.shiftrightunsigned(F.xxhash64(key), 11).cast("double") / float(2**53)
+
+
 def nearest(v: str, centres) -> Column:
     """struct(d, part): distance and index of the nearest centre, ties to the smaller index."""
     return F.array_min(F.array(*[F.struct(V.dist(F.col(v), V.literal(c)).alias("d"), F.lit(i).alias("part")) for i, c in enumerate(centres)]))
@@ -25,7 +30,7 @@ def first_centres(df: DataFrame, v: str, k: int, key: str = "vec_id") -> list[li
 def lloyd(df: DataFrame, v: str, k: int, iters: int = 8, key: str = "vec_id") -> tuple[list[list[float]], list[float]]:
     """Centres, and the inertia before each round.  k rows reach the driver each round."""
     n = df.count()
-    sample = df.select(key, v) if n <= SAMPLE_ROWS else df.select(key, v).where(F.pmod(F.xxhash64(key), F.lit(10**6)) < int(10**6 * SAMPLE_ROWS / n))
+    sample = df.select(key, v) if n <= SAMPLE_ROWS else df.select(key, v).where(hash_share(key) < SAMPLE_ROWS / n)
     sample = sample.persist()
     centres, inertia = first_centres(sample, v, k, key), []
     if not centres:

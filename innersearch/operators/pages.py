@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from innersearch.operators.exact import ranked
+
 PAGE_BYTES = 4096
 
 
@@ -27,8 +29,9 @@ def page_access(cells: DataFrame, subcells: DataFrame, bytes_: int, page: int =
 
 def layout(points: DataFrame, order: list, bytes_: int, page: int = PAGE_BYTES) -> DataFrame:
     """vec_id, page_id of rows laid out in an order (baselines have their own)."""
-    at = F.row_number().over(Window.orderBy(*order)) - 1
-    return points.select("vec_id", F.floor(at * bytes_ / page).cast("long").alias("page_id"))
+    names = [c for c in points.columns if c not in ("v", "pv")]
+    placed, _ = ranked(points.select(*names), order)
+    return placed.select("vec_id", F.floor(F.col("place") * bytes_ / page).cast("long").alias("page_id"))
 
 
 def index_bytes(rows: int, d: int, m: int) -> dict[str, int]:

@@ -14,11 +14,18 @@ from pyspark.sql import functions as F
 from innersearch.functions import vectors as V
 from innersearch.operators import kmeans
 from innersearch.operators.exact import spread
+from innersearch.sources import scratch
+
+
+#: Most sub-cells of an index: their table is what a search broadcasts, whatever the number of points.
+MAX_CELLS = 20_000
 
 
 @dataclasses.dataclass
 class RingIndex:
-    """points(part, ikey, sub, vec_id, v, pv, n1, n2), parts(part, centre, radius, cnt), subcells(...)."""
+    """points(part, ikey, sub, vec_id, pv, n1, n2), parts(part, centre, radius, cnt), subcells(...).
+
+    A written index has the vectors in a second table, wide(part, ikey, sub, vec_id, v); else points hold them as v."""
 
     points: DataFrame
     parts: DataFrame
@@ -26,6 +33,7 @@ class RingIndex:
     centres: list[list[float]]
     eps: float
     factor: int
+    wide: DataFrame | None = None
 
 
 def assign(points: DataFrame, centres) -> DataFrame:
@@ -60,45 +68,54 @@ def selectivity(k_p: int, n_key: int, k_sp: int) -> float:
 
 
 def params_for(n: int, target_rows: int, k_p: int = 5, k_sp: int = 10) -> tuple[int, int, int]:
-    """k_p, n_key, k_sp whose sub-cells hold about target_rows; small sets get fewer of each."""
-    cells = max(1, n // max(1, target_rows))
+    """k_p, n_key, k_sp whose sub-cells hold about target_rows; small sets get fewer of each, large ones MAX_CELLS in all
+    (so at 10^9 points a sub-cell is a row group of 50,000)."""
+    cells = max(1, min(MAX_CELLS, n // max(1, target_rows)))
     k_p = max(1, min(k_p, cells))
     k_sp = max(1, min(k_sp, math.isqrt(max(1, cells // k_p))))
     return k_p, max(1, cells // (k_p * k_sp)), k_sp
 
 
 def build_plain(points: DataFrame, centres, eps: float | None = None, n_key: int = 40) -> RingIndex:
-    """Clusters and keys only (sub is 0)."""
-    return _finish(assign(points, centres), centres, eps, n_key, None)
+    """Clusters and keys only (sub is 0), planned on the points as they are."""
+    keyed, parts, eps, factor = _keyed(assign(points, centres), centres, eps, n_key)
+    keyed = keyed.withColumn("sub", F.lit(0))
+    return RingIndex(keyed, parts, subcell_table(keyed, len(centres[0])), centres, eps, factor)
 
 
-def build(points: DataFrame, k_p: int = 5, n_key: int = 40, k_sp: int = 10, eps: float | None = None, iters: int = 5) -> RingIndex:
-    """Clusters, keys and sub-cells of projected points."""
+def build(points: DataFrame, k_p: int = 5, n_key: int = 40, k_sp: int = 10, eps: float | None = None, iters: int = 5, path: str | None = None) -> RingIndex:
+    """Clusters, keys and sub-cells of projected points, written under path (None: the shared folder) and read from there."""
+    spark = points.sparkSession
+    path = path or scratch.path_for(spark, "ring_index")
     centres, _ = kmeans.lloyd(points, "pv", k_p, iters)
-    return _finish(assign(points, centres), centres, eps, n_key, k_sp)
+    keyed, parts, eps, factor = _keyed(assign(points, centres), centres, eps, n_key)
+    split_rings(keyed, k_sp).select("part", "ikey", "sub", "vec_id", "pv", "n1", "n2", "v").write.parquet(f"{path}/keyed")
+    table = spark.read.parquet(f"{path}/keyed")
+    write(RingIndex(table, parts, subcell_table(table, len(centres[0]) if centres else 0), centres, eps, factor), path)
+    return load(spark, path)
 
 
-def _finish(assigned: DataFrame, centres, eps: float | None, n_key: int, k_sp: int | None) -> RingIndex:
-    assigned = assigned.persist()
-    parts = part_table(assigned, centres).persist()
+def _keyed(assigned: DataFrame, centres, eps: float | None, n_key: int) -> tuple[DataFrame, DataFrame, float, int]:
+    """Points with ikey; parts as a table of k_p rows; the ring width; the constant of the keys."""
+    parts = part_table(assigned, centres)
+    parts = assigned.sparkSession.createDataFrame(parts.collect(), parts.schema)
     eps = eps or ring_width(parts, n_key)
     factor = int((parts.agg(F.max("radius")).first()[0] or 0.0) / eps) + 2
-    keyed = assigned.withColumn("ikey", index_key(F.col("part"), F.col("cdist"), eps, factor))
-    keyed = keyed.withColumn("sub", F.lit(0)) if k_sp is None else split_rings(keyed, k_sp)
-    keyed = keyed.persist()
-    return RingIndex(keyed, parts, subcell_table(keyed).persist(), centres, eps, factor)
+    return assigned.withColumn("ikey", index_key(F.col("part"), F.col("cdist"), eps, factor)), parts, eps, factor
 
 
 def split_rings(keyed: DataFrame, k_sp: int, sample: int = 2000, iters: int = 5) -> DataFrame:
-    """Adds `sub`: the nearest of k_sp centres fitted on up to `sample` points of each ring, by hash order."""
-    w = Window.partitionBy("ikey").orderBy(F.xxhash64("vec_id"), "vec_id")
-    few = keyed.select("ikey", "vec_id", "pv").withColumn("rn", F.row_number().over(w)).where(F.col("rn") <= sample)
+    """Adds `sub`: the nearest of k_sp centres fitted on about `sample` points of each ring, drawn by a hash of the id at
+    the ring's rate; only the sample is shuffled."""
+    rates = keyed.groupBy("ikey").agg(F.count("*").alias("cnt")).select("ikey", F.least(F.lit(1.0), sample / F.col("cnt")).alias("rate"))
+    draw = kmeans.hash_share("vec_id")
+    few = keyed.select("ikey", "vec_id", "pv", draw.alias("rn")).join(F.broadcast(rates), "ikey").where("rn <= rate").drop("rate")
 
     def fit(pdf):
         import numpy as np
         import pandas as pd
 
-        x = np.array(pdf.sort_values("rn")["pv"].tolist())
+        x = np.array(pdf.sort_values(["rn", "vec_id"])["pv"].tolist())
         c = x[:k_sp].copy()
         for _ in range(iters):
             near = ((x[:, None] - c[None]) ** 2).sum(2).argmin(1)
@@ -109,15 +126,18 @@ def split_rings(keyed: DataFrame, k_sp: int, sample: int = 2000, iters: int = 5)
 
     subs = few.groupBy("ikey").applyInPandas(fit, "ikey long, subs array<array<double>>")
     choice = F.array_min(F.transform("subs", lambda c, i: F.struct(V.dist(F.col("pv"), c).alias("d"), i.alias("i"))))["i"]
-    return keyed.join(subs, "ikey").withColumn("sub", choice).drop("subs")
+    return keyed.join(F.broadcast(subs), "ikey", "left").withColumn("sub", F.coalesce(choice, F.lit(0))).drop("subs")
 
 
-def subcell_table(keyed: DataFrame) -> DataFrame:
-    """part, ikey, sub, pivot (mean projection), radius, cnt, row_offset (rows before it in key order)."""
-    pivot = keyed.groupBy("part", "ikey", "sub").agg(F.count("*").alias("cnt"), F.collect_list("pv").alias("pvs"))
-    m = F.size(F.col("pvs")[0])
-    mean = F.transform(F.sequence(F.lit(0), m - 1), lambda i: F.round(F.aggregate("pvs", F.lit(0.0), lambda s, x: s + x[i]) / F.col("cnt"), 9))
-    cells = pivot.withColumn("pivot", mean).withColumn("radius", F.array_max(F.transform("pvs", lambda x: V.dist(x, F.col("pivot")))))
+def subcell_table(keyed: DataFrame, m: int) -> DataFrame:
+    """part, ikey, sub, pivot (mean projection), radius, cnt, row_offset (rows before it in key order).
+
+    Two partial aggregations over the points: means, then the greatest distance from them.  The order of the sub-cells is
+    taken on their own table, which the parameters bound."""
+    means = [F.round(F.avg(F.col("pv")[i]), 9) for i in range(m)]
+    pivots = keyed.groupBy("part", "ikey", "sub").agg(F.count("*").alias("cnt"), F.array(*means).alias("pivot"))
+    met = keyed.select("part", "ikey", "sub", "pv").join(F.broadcast(pivots), ["part", "ikey", "sub"])
+    cells = met.groupBy("part", "ikey", "sub").agg(F.first("pivot").alias("pivot"), F.max(V.dist("pv", "pivot")).alias("radius"), F.first("cnt").alias("cnt"))
     before = F.coalesce(F.sum("cnt").over(Window.orderBy("ikey", "sub").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     return cells.select("part", "ikey", "sub", "pivot", "radius", "cnt", before.cast("long").alias("row_offset"))
 
@@ -137,19 +157,37 @@ def candidate_cells(index: RingIndex, balls: DataFrame) -> DataFrame:
 
 
 def fetch(index: RingIndex):
-    """A fetch function for ball search: cells to points by equi-join, then the distance test."""
+    """A fetch function for ball search: cells to narrow rows, then the distance test, then the vectors of what is left.
+
+    The cells and the rows left are the small sides, broadcast behind a check; the point tables are not shuffled then."""
 
     def run(points: DataFrame, balls: DataFrame, exclude_self: bool = True) -> DataFrame:
-        cells = candidate_cells(index, balls)
-        got = points.join(cells, ["part", "ikey", "sub"]).join(F.broadcast(balls), "qid")
+        cells = scratch.small_side(candidate_cells(index, balls))
+        got = points.join(cells, ["part", "ikey", "sub"]).join(F.broadcast(balls.select("qid", "qpv", "lo", "hi")), "qid")
         if exclude_self:
             got = got.where("vec_id != qid")
         got = got.withColumn("pdist", V.dist("pv", "qpv")).where("pdist <= hi and pdist > lo")
-        return got.select("qid", "vec_id", "pdist", V.dot("v", "qv").alias("ip"))
+        vectors = F.broadcast(balls.select("qid", "qv"))
+        if index.wide is None:
+            return got.select("qid", "vec_id", "pdist", "v").join(vectors, "qid").select("qid", "vec_id", "pdist", V.dot("v", "qv").alias("ip"))
+        left = scratch.small_side(scratch.written(got.select("qid", "part", "ikey", "sub", "vec_id", "pdist"), "in_ball"))
+        met = index.wide.join(left, ["part", "ikey", "sub", "vec_id"]).join(vectors, "qid")
+        return met.select("qid", "vec_id", "pdist", V.dot("v", "qv").alias("ip"))
 
     return run
 
 
+def enclosing(index: RingIndex, queries: DataFrame, k: int, exclude_self: bool = True) -> DataFrame:
+    """qid, reach: a radius within which the sub-cells promise k points other than the query (null if there are fewer).
+
+    Metadata only: sub-cells by the greatest distance that a point of theirs may have, until their counts suffice."""
+    need = k + int(exclude_self)
+    far = F.round(V.dist("qpv", "pivot") + F.col("radius") + 1e-6, 9)
+    both = queries.select("qid", "qpv").crossJoin(F.broadcast(index.subcells)).select("qid", "ikey", "sub", "cnt", far.alias("far"))
+    run = F.sum("cnt").over(Window.partitionBy("qid").orderBy("far", "ikey", "sub").rowsBetween(Window.unboundedPreceding, 0))
+    return both.withColumn("run", run).groupBy("qid").agg(F.min(F.when(F.col("run") >= need, F.col("far"))).alias("reach"))
+
+
 def fetch_plain(index: RingIndex, balls: DataFrame) -> DataFrame:
     """qid, vec_id, pdist by key intervals alone."""
     near = balls.crossJoin(F.broadcast(index.parts)).withColumn("cd", V.dist("qpv", "centre")).where("cd <= radius + hi + 1e-6")
@@ -165,17 +203,21 @@ def write(index: RingIndex, path: str) -> None:
 
     order = index.points.repartitionByRange("ikey", "sub").sortWithinPartitions("ikey", "sub", "vec_id")
     order.select("part", "ikey", "sub", "vec_id", "pv", "n1", "n2").write.partitionBy("part").parquet(f"{path}/points_narrow")
-    order.select("part", "ikey", "sub", "vec_id", "v").write.partitionBy("part").parquet(f"{path}/points_wide")
+    vectors = order if index.wide is None else index.wide.repartitionByRange("ikey", "sub").sortWithinPartitions("ikey", "sub", "vec_id")
+    vectors.select("part", "ikey", "sub", "vec_id", "v").write.partitionBy("part").parquet(f"{path}/points_wide")
     index.parts.write.parquet(f"{path}/parts")
-    index.subcells.write.parquet(f"{path}/subcells")
-    manifest = json.dumps({"eps": index.eps, "factor": index.factor, "centres": index.centres, "format_version": 1})
+    index.subcells.coalesce(1).write.parquet(f"{path}/subcells")
+    manifest = json.dumps({"eps": index.eps, "factor": index.factor, "centres": index.centres, "format_version": 2})
     index.points.sparkSession.createDataFrame([(manifest,)], "manifest string").write.parquet(f"{path}/manifest")
 
 
+_NARROW = "ikey long, sub int, vec_id long, pv array<double>, n1 double, n2 double, part int"
+_WIDE = "ikey long, sub int, vec_id long, v array<double>, part int"
+
+
 def load(spark: SparkSession, path: str) -> RingIndex:
     import json
 
     m = json.loads(spark.read.parquet(f"{path}/manifest").first()[0])
-    narrow, wide = spark.read.parquet(f"{path}/points_narrow"), spark.read.parquet(f"{path}/points_wide")
-    points = narrow.join(wide.drop("part"), ["ikey", "sub", "vec_id"])
-    return RingIndex(points, spark.read.parquet(f"{path}/parts"), spark.read.parquet(f"{path}/subcells"), m["centres"], m["eps"], m["factor"])
+    narrow, wide = spark.read.schema(_NARROW).parquet(f"{path}/points_narrow"), spark.read.schema(_WIDE).parquet(f"{path}/points_wide")
+    return RingIndex(narrow, spark.read.parquet(f"{path}/parts"), spark.read.parquet(f"{path}/subcells"), m["centres"], m["eps"], m["factor"], wide)

@@ -14,6 +14,7 @@ from innersearch.operators import ball, certificates, costmodel, exact, kmeans,
 from innersearch.operators.baselines import norm_band_lsh, power_lsh, residual_pq, shell_lsh
 from innersearch.plans import engine, experiments
 from innersearch.plans import oracles as O
+from innersearch.sources import scratch
 from innersearch.sources import vectors as S
 
 
@@ -312,13 +313,12 @@ def _(s, d):
 @q("sink_ring_index")
 def _(s, d):
     x = Setup(s, d, "clustered")
-    root = s.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
-    import uuid
-
-    path = f"{root}/innersearch/{uuid.uuid4().hex}/index"
-    ringindex.write(ringindex.build(x.points, 5, 4, 3), path)
+    path = scratch.path_for(s, "index")
+    ringindex.build(x.points, 5, 4, 3, path=path)
     back = ringindex.load(s, path)
-    return back.points.groupBy("part").agg(F.count("*").alias("n"))
+    narrow = back.points.groupBy("part").agg(F.count("*").alias("n"), F.sum("vec_id").alias("ids"))
+    wide = back.wide.groupBy("part").agg(F.count("*").alias("n_wide"), F.sum("vec_id").alias("ids_wide"))
+    return narrow.join(wide, "part").select("part", "n", "ids", "n_wide", "ids_wide")
 
 
 # ---- baselines

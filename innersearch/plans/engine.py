@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from innersearch.functions import chisq
 from innersearch.functions import vectors as V
 from innersearch.operators import ball, certificates, pages, projection, ringindex, signcells
+from innersearch.sources import scratch
 
 
 @dataclasses.dataclass(frozen=True)
@@ -63,7 +64,8 @@ class Engine:
         radii = self.radii(q, c, p).select("qid", "radius")
         fetch = ringindex.fetch(self.ring) if self.ring else ball.in_ball
         points = self.ring.points if self.ring else self.points
-        return ball.ball_search(points, q, radii, self.maxn2, k, c, chi, x.compensate, x.exclude_self, fetch)
+        near = (lambda some: ringindex.enclosing(self.ring, some, k, x.exclude_self)) if self.ring else None
+        return ball.ball_search(points, q, radii, self.maxn2, k, c, chi, x.compensate, x.exclude_self, fetch, near)
 
     def page_access(self, queries: DataFrame, stats: DataFrame) -> DataFrame:
         """qid, pages (4 KB unless set otherwise) of the sub-cells that the final ball touches."""
@@ -72,16 +74,22 @@ class Engine:
         return pages.page_access(ringindex.candidate_cells(self.ring, balls), self.ring.subcells, pages.row_bytes(self.d), self.params.page_bytes)
 
 
-def build(points: DataFrame, params: SearchParams | None = None) -> Engine:
-    """One pass for the count and the greatest norm, one for cells; then the ring index."""
+def build(points: DataFrame, params: SearchParams | None = None, path: str | None = None) -> Engine:
+    """Projects the points, and writes them, their sign cells and the ring index under path (None: the shared folder).
+
+    Nothing is cached: a search reads the written tables."""
     params = params or SearchParams()
+    spark = points.sparkSession
+    path = path or scratch.path_for(spark, "engine")
     n, d = points.agg(F.count("*"), F.max(F.size("v"))).first()
     m = params.m or signcells.best_dimension(n)
     matrix = projection.gaussian_matrix(m, d, params.seed)
-    projected = projection.project_points(points, matrix).persist()
-    cells = signcells.build_cells(projected, m, "n1" if params.ub_norm == "l1" else "n2").persist()
+    projection.project_points(points, matrix).write.parquet(f"{path}/projected")
+    projected = spark.read.parquet(f"{path}/projected")
+    signcells.build_cells(projected, m, "n1" if params.ub_norm == "l1" else "n2").coalesce(1).write.parquet(f"{path}/sign_cells")
     ring = None
     if params.use_index:
         k_p, n_key, k_sp = ringindex.params_for(n, params.target_rows)
-        ring = ringindex.build(projected, k_p, n_key, k_sp)
+        ring = ringindex.build(projected, k_p, n_key, k_sp, path=f"{path}/ring")
+    cells = spark.read.parquet(f"{path}/sign_cells")
     return Engine(params, projected, cells, ring, matrix, d, m, n, certificates.max_norm(projected), chisq.quantile(m, params.p))

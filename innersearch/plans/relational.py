@@ -9,6 +9,7 @@ from innersearch.functions import vectors as V
 from innersearch.operators import exact
 from innersearch.plans import oracles as O
 from innersearch.plans.catalog import K, M, Setup, U, q, r6
+from innersearch.sources import scratch
 from innersearch.sources import vectors as S
 from innersearch.streaming import events as E
 
@@ -47,9 +48,7 @@ def _(s, d):
 
 def _round_trip(fmt: str):
     def run(s, d):
-        from uuid import uuid4
-
-        path = f"{s.conf.get('spark.checkpoint.dir', None) or '/tmp/checkpoints'}/innersearch/{uuid4().hex}/{fmt}"
+        path = scratch.path_for(s, fmt)
         h = hits(s, d).select("qid", "rank", "vec_id", r6("ip"))
         h.write.format(fmt).option("header", "true").save(path)
         return s.read.format(fmt).schema(h.schema).option("header", "true").load(path)
