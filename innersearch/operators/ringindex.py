@@ -48,10 +48,9 @@ def part_table(assigned: DataFrame, centres) -> DataFrame:
     return assigned.groupBy("part").agg(F.max("cdist").alias("radius"), F.count("*").alias("cnt")).join(F.broadcast(c), "part").select("part", "centre", "radius", "cnt")
 
 
-def ring_width(parts: DataFrame, n_key: int) -> float:
+def ring_width(radii: list[float], n_key: int) -> float:
     """Mean cluster radius over the number of rings."""
-    r = parts.agg(F.avg("radius")).first()[0] or 0.0
-    return round(r / n_key, 9) or 1.0
+    return round(math.fsum(radii) / max(1, len(radii)) / n_key, 9) or 1.0
 
 
 def ring(cdist: Column, eps: float) -> Column:
@@ -97,10 +96,12 @@ def build(points: DataFrame, k_p: int = 5, n_key: int = 40, k_sp: int = 10, eps:
 
 def _keyed(assigned: DataFrame, centres, eps: float | None, n_key: int) -> tuple[DataFrame, DataFrame, float, int]:
     """Points with ikey; parts as a table of k_p rows; the ring width; the constant of the keys."""
-    parts = part_table(assigned, centres)
-    parts = assigned.sparkSession.createDataFrame(parts.collect(), parts.schema)
-    eps = eps or ring_width(parts, n_key)
-    factor = int((parts.agg(F.max("radius")).first()[0] or 0.0) / eps) + 2
+    table = part_table(assigned, centres)
+    rows = table.collect()
+    parts = assigned.sparkSession.createDataFrame(rows, table.schema)
+    radii = [r["radius"] for r in rows]
+    eps = eps or ring_width(radii, n_key)
+    factor = int(max(radii, default=0.0) / eps) + 2
     return assigned.withColumn("ikey", index_key(F.col("part"), F.col("cdist"), eps, factor)), parts, eps, factor
 
 
