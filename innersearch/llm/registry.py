@@ -87,6 +87,11 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    from innersearch.llm import chat
-
-    return {"op2_chat_format": chat.CHAT_SQL}
+    from innersearch.llm import chat, decontam, linefilter, oracles, sigtree
+
+    return {
+        "op2_chat_format": chat.CHAT_SQL,
+        "op5_suffix_decontam": oracles.decontam_sql(decontam.WINDOW),
+        "op6_signature_join": oracles.similar_sql(sigtree.WORDS, sigtree.NUM, sigtree.DEN),
+        "op8_line_quality": oracles.quality_sql(linefilter.MIN_WORDS, linefilter.MAX_REPEAT, linefilter.OPEN_WORDS, linefilter.MAX_LOST, linefilter.BOILERPLATE),
+    }
