@@ -150,12 +150,18 @@ def _(s, d):
     return stepwise.stops_k1(x.pairs, x.maxn2, C, CHI).groupBy("reason").agg(F.count("*").alias("n"), F.round(F.avg("stop"), 6).alias("mean_stop"))
 
 
-@q("nearest_euclid")
+@q("nearest_euclid", f"""WITH p0 AS ({O.SOURCES['unit']}), p AS MATERIALIZED (SELECT vec_id, v, {O.project('v')} AS pv FROM p0),
+q AS (SELECT vec_id AS qid, v AS qv, pv AS qpv FROM p WHERE vec_id % 50 = 0),
+pr AS MATERIALIZED (SELECT qid, vec_id, round(list_distance(pv, qpv), 9) AS pdist, greatest(0.0, list_dot_product(v, v) + list_dot_product(qv, qv) - 2 * list_dot_product(v, qv)) AS d2 FROM p, q WHERE vec_id <> qid),
+st AS (SELECT *, row_number() OVER w AS i, list_sort(list(d2) OVER (PARTITION BY qid ORDER BY pdist, vec_id ROWS UNBOUNDED PRECEDING))[{K}] AS kth FROM pr WINDOW w AS (PARTITION BY qid ORDER BY pdist, vec_id)),
+so AS (SELECT qid, CAST(coalesce(min(i) FILTER (WHERE pdist * pdist >= {CHI!r} * kth * {C * C!r}), max(i)) AS INTEGER) AS stop FROM st GROUP BY qid),
+be AS (SELECT st.*, stop, row_number() OVER (PARTITION BY st.qid ORDER BY d2, vec_id) AS rn FROM st JOIN so ON st.qid = so.qid AND i <= stop)
+SELECT qid, CAST(rn AS INTEGER) AS rank, vec_id, round(sqrt(d2), 6) AS dist, stop FROM be WHERE rn <= {K}""")
 def _(s, d):
     def one(x):
         both = exact.spread(x.points).crossJoin(F.broadcast(x.queries)).where("vec_id != qid")
         pairs = both.select("qid", "vec_id", V.dist("pv", "qpv").alias("pdist"), V.dist2("v", "qv").alias("d2"))
-        return stepwise.nearest_euclid(pairs, K, C, CHI)
+        return stepwise.nearest_euclid(pairs, K, C, CHI).withColumn("dist", r6("dist"))
 
     return whole.in_blocks(Setup(s, d), one)
 

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from innersearch.functions import vectors as V
 from innersearch.operators import exact
 from innersearch.plans import oracles as O
-from innersearch.plans.catalog import K, M, Setup, U, q, r6
+from innersearch.plans.catalog import K, M, Setup, U, hits6, q, r6
 from innersearch.sources import scratch
 from innersearch.sources import vectors as S
 from innersearch.streaming import events as E
@@ -411,13 +411,14 @@ def _(s, d):
     return E.click_then(S.read(s, d, "events"), "click", "purchase").select("a_id", "b_id")
 
 
-@q("stream_search")
+@q("stream_search", f"""WITH p AS ({O.SOURCES['unit']}), q AS (SELECT vec_id AS qid, v AS qv FROM p WHERE vec_id IN (SELECT user_id % (SELECT count(*) FROM embeddings) FROM events))
+SELECT qid, CAST(rn AS INTEGER) AS rank, vec_id, round(ip, 6) AS ip FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY ip DESC, vec_id) AS rn FROM (SELECT qid, vec_id, list_dot_product(v, qv) AS ip FROM p, q WHERE vec_id <> qid)) WHERE rn <= 5""")
 def _(s, d):
     from innersearch.plans import whole
 
     p = S.unit_embeddings(s, d)
     users = E.event_queries(S.read(s, d, "events"), p, p.count()).select("qid", "qv").dropDuplicates(["qid"])
-    return whole.union([exact.exact_topk_blocked(p, block, 5) for block in whole.hashed_blocks(users, "qid", whole.QUERY_BLOCK)])
+    return hits6(whole.union([exact.exact_topk_blocked(p, block, 5) for block in whole.hashed_blocks(users, "qid", whole.QUERY_BLOCK)]))
 
 
 @q("upserted_points", "SELECT vec_id FROM embeddings WHERE vec_id NOT IN (SELECT vec_id FROM embeddings WHERE vec_id % 10 = 0)")

@@ -10,7 +10,7 @@ from innersearch.sources import vectors as S
 from .compare import oracle_rows, rows_of
 
 QUICK = (
-    "exact_topk", "exact_topk_blocked", "project_points", "certificate_a", "certificate_b", "stepwise_k1", "stepwise_topk", "radius_probe", "best_dimension",
+    "exact_topk", "exact_topk_blocked", "project_points", "certificate_a", "certificate_b", "nearest_euclid", "stream_search", "stepwise_k1", "stepwise_topk", "radius_probe", "best_dimension",
     "ball_topk", "ball_stats", "plain_keys", "page_access", "lift_nn_topk", "shell_partition", "norm_band_topk", "overall_ratio", "recall_by_k",
     "asof_event_query", "range_frame_density", "win_session", "win_sliding", "interval_join_events", "except_hits", "cube_ratio",
 )
