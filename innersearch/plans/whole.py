@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from innersearch.functions import vectors as V
 from innersearch.operators import certificates, exact, metrics, pages, projection, ringindex
 from innersearch.plans import engine
+from innersearch.plans import oracles as O
 from innersearch.plans.catalog import C, CHI, K, M, MATRIX, Setup, hits6, q, r6
 from innersearch.sources import vectors as S
 
@@ -22,6 +23,11 @@ EVERY = 50
 QUERY_BLOCK, PAIR_BLOCK, SLICE = 512, 4096, 1024
 
 
+#: The query set and its pairs with all points, as SQL.
+PAIRS_SQL = f"WITH p AS ({O.SOURCES['unit']}), pr AS MATERIALIZED (SELECT a.vec_id AS qid, p.vec_id, a.v AS qv, p.v FROM p, p a WHERE a.vec_id % {EVERY} = 0 AND p.vec_id <> a.vec_id)"
+DOTS_SQL = f"{PAIRS_SQL} SELECT qid, vec_id, round(list_dot_product(v, qv), 6) AS ip FROM pr"
+
+
 def query_set(points: DataFrame) -> DataFrame:
     return points.where(F.col("vec_id") % EVERY == 0).select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))
 
@@ -80,12 +86,12 @@ def _(s, d):
     return pairs_above(S.unit_embeddings(s, d), 0.3)
 
 
-@q("pair_dots_all")
+@q("pair_dots_all", DOTS_SQL)
 def _(s, d):
     return in_blocks(Setup(s, d), lambda x: x.pairs.select("qid", "vec_id", r6("ip")))
 
 
-@q("distance_identity_all")
+@q("distance_identity_all", f"{PAIRS_SQL} SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 5) AS d2 FROM pr")
 def _(s, d):
     def one(x):
         both = x.raw.crossJoin(F.broadcast(x.queries.select("qid", "qv"))).where("vec_id != qid")
@@ -101,7 +107,7 @@ def _(s, d):
     return in_blocks(x, lambda y: y.pairs.select("qid", "vec_id", certificates.chi_ok(F.col("pdist"), F.col("ip"), F.col("qn2"), top, C, CHI).alias("holds")))
 
 
-@q("sql_functions_all")
+@q("sql_functions_all", DOTS_SQL)
 def _(s, d):
     from innersearch.operators import sqlsurface
 
@@ -114,7 +120,7 @@ def _(s, d):
     return in_blocks(Setup(s, d), one)
 
 
-@q("posexplode_dots_all")
+@q("posexplode_dots_all", DOTS_SQL)
 def _(s, d):
     def one(x):
         p = x.raw.select("vec_id", F.posexplode("v").alias("j", "a"))
@@ -143,7 +149,7 @@ def exact_all(x: Setup, k: int) -> DataFrame:
     return union([exact.exact_topk_blocked(x.raw, block, k) for block in hashed_blocks(query_set(x.raw), "qid", QUERY_BLOCK)])
 
 
-@q("exact_topk_all")
+@q("exact_topk_all", f"{PAIRS_SQL} SELECT qid, CAST(rn AS INTEGER) AS rank, vec_id, round(ip, 6) AS ip FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY ip DESC, vec_id) AS rn FROM (SELECT qid, vec_id, list_dot_product(v, qv) AS ip FROM pr)) WHERE rn <= {K}")
 def _(s, d):
     return hits6(exact_all(Setup(s, d), K))
 
