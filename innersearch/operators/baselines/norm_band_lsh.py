@@ -46,12 +46,17 @@ def probe_order(index: DataFrame, queries: DataFrame, d: int, bits: int = BITS,
     return both.select("qid", "band", "code", "cnt", score.alias("score"))
 
 
-def search(index: DataFrame, queries: DataFrame, d: int, k: int = 10, budget: int | None = None, bits: int = BITS, seed: int = 42) -> DataFrame:
-    """hits of the best buckets until `budget` points are read (the bucket that crosses it is read whole); the default is
+def reads(index: DataFrame, queries: DataFrame, d: int, budget: int | None = None, bits: int = BITS, seed: int = 42) -> DataFrame:
+    """qid, vec_id, ip of the points in the best buckets until `budget` points are read (the bucket that crosses it is read whole); the default is
     a tenth of the points, at least 200."""
     budget = budget or max(200, math.ceil(index.count() / 10))
     order = probe_order(index, queries, d, bits, seed)
     w = Window.partitionBy("qid").orderBy(F.desc("score"), "band", "code").rowsBetween(Window.unboundedPreceding, -1)
     chosen = order.withColumn("before", F.coalesce(F.sum("cnt").over(w), F.lit(0))).where(F.col("before") < budget).select("qid", "band", "code")
     got = index.join(F.broadcast(chosen), ["band", "code"]).join(F.broadcast(queries.select("qid", "qv")), "qid").where("vec_id != qid")
-    return top_k(got.select("qid", "vec_id", V.dot("v", "qv").alias("ip")), k)
+    return got.select("qid", "vec_id", V.dot("v", "qv").alias("ip"))
+
+
+def search(index: DataFrame, queries: DataFrame, d: int, k: int = 10, budget: int | None = None, bits: int = BITS, seed: int = 42) -> DataFrame:
+    """hits among the points read."""
+    return top_k(reads(index, queries, d, budget, bits, seed), k)

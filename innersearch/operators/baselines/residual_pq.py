@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from innersearch.functions import vectors as V
-from innersearch.operators.exact import top_k
+from innersearch.operators.exact import spread, top_k
 from innersearch.operators.kmeans import hash_share
 
 #: Most points that the codebooks are trained on.
@@ -39,6 +39,11 @@ class Codebook:
     books: list[np.ndarray]
     residual: bool
 
+    @property
+    def nbytes(self) -> int:
+        """Bytes of cells, rotations and codebooks."""
+        return self.cells.nbytes + self.rotations.nbytes + sum(b.nbytes for b in self.books)
+
     def lift(self, v: np.ndarray) -> np.ndarray:
         extra = np.sqrt(np.maximum(0, self.bound2 - (v * v).sum(1)))[:, None]
         return np.hstack([v, extra, np.zeros((len(v), self.pad))])
@@ -104,6 +109,8 @@ def encode(points: DataFrame, book: Codebook) -> DataFrame:
 
 def probes(queries: DataFrame, book: Codebook, nprobe: int = 16) -> DataFrame:
     """qid, qv, cell, lut: lookup tables of the nearest cells, one row each; a bounded batch of queries."""
+    import pyarrow as pa
+
     rows, out = queries.select("qid", "qv").collect(), []
     for qid, qv in rows:
         q = np.array(qv)
@@ -112,13 +119,27 @@ def probes(queries: DataFrame, book: Codebook, nprobe: int = 16) -> DataFrame:
         for c in np.argsort(d2, kind="stable")[:nprobe]:
             r = (x - book.cells[c] if book.residual else x) @ book.rotations[c]
             w = len(r) // len(book.books)
-            out.append((int(qid), [float(z) for z in qv], int(c), [((b - r[i * w : (i + 1) * w]) ** 2).sum(1).tolist() for i, b in enumerate(book.books)]))
-    return queries.sparkSession.createDataFrame(out, "qid long, qv array<double>, cell int, lut array<array<double>>")
+            out.append((int(qid), q, int(c), [((b - r[i * w : (i + 1) * w]) ** 2).sum(1) for i, b in enumerate(book.books)]))
+    kinds = (pa.int64(), pa.list_(pa.float64()), pa.int32(), pa.list_(pa.list_(pa.float64())))
+    table = pa.table({name: pa.array([x[i] for x in out], kind) for i, (name, kind) in enumerate(zip(("qid", "qv", "cell", "lut"), kinds, strict=True))})
+    return queries.sparkSession.createDataFrame(table, "qid long, qv array<double>, cell int, lut array<array<double>>")
 
 
-def search(index: DataFrame, queries: DataFrame, book: Codebook, k: int = 10, nprobe: int = 16, rerank: int = 100) -> DataFrame:
-    """hits after re-ranking the `rerank` least table distances by the true product."""
-    met = index.join(F.broadcast(probes(queries, book, nprobe)), "cell").where("vec_id != qid")
+def reads(index: DataFrame, queries: DataFrame, book: Codebook, nprobe: int = 16, rerank: int = 100) -> DataFrame:
+    """qid, vec_id, ip of the `rerank` least table distances in the nearest cells."""
+    met = spread(index).join(F.broadcast(probes(queries, book, nprobe)), "cell").where("vec_id != qid")
     adc = F.aggregate(F.transform("codes", lambda c, i: F.get(F.get(F.col("lut"), i), c)), F.lit(0.0), lambda s, x: s + x)
     short = top_k(met.select("qid", "vec_id", (-adc).alias("near"), "v", "qv"), rerank, "near", keep=("v", "qv"))
-    return top_k(short.select("qid", "vec_id", V.dot("v", "qv").alias("ip")), k)
+    return short.select("qid", "vec_id", V.dot("v", "qv").alias("ip"))
+
+
+def search(index: DataFrame, queries: DataFrame, book: Codebook, k: int = 10, nprobe: int = 16, rerank: int = 100) -> DataFrame:
+    """hits after re-ranking the points read by the true product."""
+    return top_k(reads(index, queries, book, nprobe, rerank), k)
+
+
+def code_pages(index: DataFrame, queries: DataFrame, book: Codebook, page: int, nprobe: int = 16) -> DataFrame:
+    """qid, index_pages: pages of ids and codes in the inverted lists of the nearest cells, each list from a page of its own."""
+    entry = 8 + len(book.books)
+    lists = index.groupBy("cell").agg(F.ceil(F.count("*") * entry / page).alias("pages"))
+    return probes(queries, book, nprobe).select("qid", "cell").join(F.broadcast(lists), "cell").groupBy("qid").agg(F.sum("pages").cast("long").alias("index_pages"))

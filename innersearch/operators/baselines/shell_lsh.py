@@ -4,12 +4,12 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from innersearch.functions import transforms
 from innersearch.functions import vectors as V
-from innersearch.operators.exact import top_k
+from innersearch.operators.exact import spread, top_k
 from innersearch.operators.projection import gaussian_matrix, projected
 from innersearch.sources import scratch
 
@@ -54,8 +54,23 @@ def build(points: DataFrame, d: int, ratio: float = RATIO, seed: int = 42) -> Da
     return lifted.withColumn("h", projected("u", gaussian_matrix(functions, d + 1, seed))).drop("u")
 
 
-def search(index: DataFrame, queries: DataFrame, d: int, n: int, k: int = 10, c0: float = BASE, seed: int = 42) -> DataFrame:
-    """qid, rank, vec_id, ip, after the shell rule.
+def hashed(queries: DataFrame, d: int, functions: int, seed: int = 42) -> DataFrame:
+    q = queries.withColumn("qu", F.concat(V.normalize("qv"), F.array(F.lit(0.0))))
+    return q.withColumn("qh", projected("qu", gaussian_matrix(functions, d + 1, seed))).withColumn("qnorm", V.l2("qv"))
+
+
+def gaps() -> Column:
+    """Distances of a point's hashes from a query's, which is lifted to the point's shell."""
+    return F.zip_with("h", "qh", lambda a, b: F.abs(a - b * F.col("bound")))
+
+
+def reach(w: float, level: Column | int, c0: float = BASE) -> Column:
+    """Half of a bucket's width at a level."""
+    return w * (F.col("bound") / 50) * F.pow(F.lit(c0), level) / 2
+
+
+def reads(index: DataFrame, queries: DataFrame, d: int, n: int, k: int = 10, c0: float = BASE, seed: int = 42) -> DataFrame:
+    """qid, vec_id, shell, last, ip of the points read: `last` is the level up to which a shell is read.
 
     Radius levels grow by c0 from a hundredth of the shell's diameter; a point is a candidate of the first level at which
     enough hashes collide; a shell is read up to the level that brings k + 100 candidates.  Shells after the one whose bound
@@ -66,27 +81,41 @@ def search(index: DataFrame, queries: DataFrame, d: int, n: int, k: int = 10, c0
 
     by = params(n, c0)
     functions, need, w = by["functions"], by["threshold"], by["w"]
-    q = queries.withColumn("qu", F.concat(V.normalize("qv"), F.array(F.lit(0.0)))).withColumn("qh", projected("qu", gaussian_matrix(functions, d + 1, seed))).withColumn("qnorm", V.l2("qv"))
-    both = index.select("vec_id", "shell", "bound", "h").crossJoin(F.broadcast(q.select("qid", "qh", "qnorm"))).where("vec_id != qid")
-    gaps = F.zip_with("h", "qh", lambda a, b: F.abs(a - b * F.col("bound")))
-    base = F.col("bound") / 50
-
-    def collides(j: int):
-        return lambda g: g <= w * base * float(c0**j) / 2
-
-    levels = F.array(*[F.when(F.size(F.filter(gaps, collides(j))) >= need, F.lit(j)) for j in range(LEVELS)])
-    level = F.coalesce(F.array_min(F.filter(levels, lambda x: x.isNotNull())), F.lit(LEVELS))
-    cand = scratch.written(both.select("qid", "vec_id", "shell", "bound", "qnorm", level.alias("level")), "levels")
+    q = hashed(queries, d, functions, seed)
+    both = spread(index.select("vec_id", "shell", "bound", "h")).crossJoin(F.broadcast(q.select("qid", "qh", "qnorm"))).where("vec_id != qid")
+    # as many hashes collide as asked for once the gap of that rank is within reach
+    both = both.select("qid", "vec_id", "shell", "bound", "qnorm", F.get(F.array_sort(gaps()), need - 1).alias("gap"))
+    level = F.coalesce(*[F.when(F.col("gap") <= reach(w, F.lit(j), c0), F.lit(j)) for j in range(LEVELS)], F.lit(LEVELS))
+    cand = scratch.written(both.withColumn("level", level).drop("gap"), "levels")
     per = cand.groupBy("qid", "shell", "level").agg(F.count("*").alias("c"))
     before = F.coalesce(F.sum("c").over(Window.partitionBy("qid", "shell").orderBy("level").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     last = per.withColumn("before", before).where(F.col("before") < k + 100).groupBy("qid", "shell").agg(F.max("level").alias("last"))
-    few = scratch.small_side(scratch.written(cand.join(last, ["qid", "shell"]).where("level <= last").drop("last"), "read"))
+    few = scratch.small_side(scratch.written(cand.join(last, ["qid", "shell"]).where("level <= last"), "read"))
     read = index.select("vec_id", "v").join(few, "vec_id").join(F.broadcast(q.select("qid", "qv")), "qid")
-    read = scratch.written(read.select("qid", "vec_id", "shell", "bound", "qnorm", V.dot("v", "qv").alias("ip")), "products")
+    read = scratch.written(read.select("qid", "vec_id", "shell", "bound", "qnorm", "last", V.dot("v", "qv").alias("ip")), "products")
     # the k-th best of the shells so far is at least the k-th best found in any one of them
     kth = Window.partitionBy("qid", "shell").orderBy(F.desc("ip"), "vec_id")
     best = read.withColumn("rn", F.row_number().over(kth)).where(F.col("rn") == k).select("qid", "shell", "ip")
     bound = read.select("qid", "shell", "bound", "qnorm").distinct()
     run = F.max("ip").over(Window.partitionBy("qid").orderBy("shell").rowsBetween(Window.unboundedPreceding, -1))
     open_ = bound.join(best, ["qid", "shell"], "left").withColumn("so_far", run).where("so_far is null or so_far < bound * qnorm").select("qid", "shell")
-    return top_k(read.join(open_, ["qid", "shell"], "left_semi"), k)
+    return read.join(open_, ["qid", "shell"], "left_semi").select("qid", "vec_id", "shell", "last", "ip")
+
+
+def search(index: DataFrame, queries: DataFrame, d: int, n: int, k: int = 10, c0: float = BASE, seed: int = 42) -> DataFrame:
+    """qid, rank, vec_id, ip, after the shell rule."""
+    return top_k(reads(index, queries, d, n, k, c0, seed), k)
+
+
+def table_pages(index: DataFrame, queries: DataFrame, read: DataFrame, d: int, n: int, page: int, c0: float = BASE, seed: int = 42) -> DataFrame:
+    """qid, index_pages: each function has a table of (hash, id) in hash order for each shell, 16 bytes an entry; a query reads
+    the run of entries within reach at the last level of a shell, which is a page more than its entries fill at most."""
+    by = params(n, c0)
+    functions, per_page = by["functions"], page // 16
+    q = hashed(queries, d, functions, seed).select("qid", "qh")
+    asked = scratch.small_side(read.select("qid", "shell", "last").distinct()).join(F.broadcast(q), "qid")
+    met = spread(index.select("vec_id", "shell", "bound", "h")).join(asked, "shell").withColumn("g", gaps()).withColumn("r", reach(by["w"], F.col("last"), c0))
+    inside = [F.count_if(F.get("g", i) <= F.col("r")).alias(f"f{i}") for i in range(functions)]
+    runs = met.groupBy("qid", "shell").agg(*inside)
+    filled = sum((F.floor(F.col(f"f{i}") / per_page) + 1 for i in range(functions)), F.lit(0))
+    return runs.groupBy("qid").agg(F.sum(filled).cast("long").alias("index_pages"))

@@ -69,9 +69,13 @@ class Engine:
 
     def page_access(self, queries: DataFrame, stats: DataFrame) -> DataFrame:
         """qid, pages (4 KB unless set otherwise) of the sub-cells that the final ball touches."""
+        return pages.page_access(self.final_cells(queries, stats), self.ring.subcells, pages.row_bytes(self.d), self.params.page_bytes)
+
+    def final_cells(self, queries: DataFrame, stats: DataFrame) -> DataFrame:
+        """qid, part, ikey, sub of the sub-cells that the final ball touches."""
         q = self.queries(queries)
         balls = q.join(stats.select("qid", "radius_final"), "qid").select("qid", "qpv", F.lit(-1.0).alias("lo"), F.col("radius_final").alias("hi"))
-        return pages.page_access(ringindex.candidate_cells(self.ring, balls), self.ring.subcells, pages.row_bytes(self.d), self.params.page_bytes)
+        return ringindex.candidate_cells(self.ring, balls)
 
 
 def build(points: DataFrame, params: SearchParams | None = None, path: str | None = None) -> Engine:

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from innersearch.operators import exact, metrics, pages, signcells
 from innersearch.operators.baselines import norm_band_lsh, residual_pq, shell_lsh
 from innersearch.plans import engine
+from innersearch.sources import scratch
 from innersearch.sources import vectors as S
 
 SOURCES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
@@ -27,48 +28,104 @@ def tidy(df: DataFrame, source: str, method: str, param: str, k: int, **measures
 
 
 class Bench:
-    """One source with its queries, exact answers and all methods built once."""
+    """One source with its queries and exact answers; each method is built once and written, and a search reads its files."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, source: str, nq: int = 20, params: engine.SearchParams | None = None):
+    def __init__(self, spark: SparkSession, sf_dir: str, source: str, nq: int = 20, params: engine.SearchParams | None = None, queries: DataFrame | None = None):
         self.spark, self.source = spark, source
-        self.points = SOURCES[source](spark, sf_dir).persist()
-        self.queries = S.sample_queries(self.points, nq).persist()
-        self.exact = exact.exact_topk_blocked(self.points, self.queries, 100).persist()
+        self.points = scratch.written(SOURCES[source](spark, sf_dir), "points")
+        self.queries = scratch.written(S.sample_queries(self.points, nq) if queries is None else queries, "queries")
+        self.exact = scratch.written(exact.exact_topk_blocked(self.points, self.queries, 100), "exact")
         self.params = params or engine.SearchParams()
         self.build_seconds: dict[str, float] = {}
+        self.paths: dict[str, str] = {}
         self._built: dict[str, object] = {}
+        self._kept: dict[object, DataFrame] = {}
         self.n, self.d = self.points.agg(F.count("*"), F.max(F.size("v"))).first()
 
     def built(self, method: str):
         if method not in self._built:
+            path = self.paths[method] = scratch.path_for(self.spark, method)
             began = time.perf_counter()
-            made = {
-                "ring": lambda: engine.build(self.points, self.params),
-                "shell_lsh": lambda: shell_lsh.build(self.points, self.d).persist(),
-                "norm_band_lsh": lambda: norm_band_lsh.build(self.points, self.d).persist(),
-                "residual_pq": lambda: self._pq(),
-            }[method]()
-            if isinstance(made, DataFrame):
-                made.count()
-            self._built[method] = made
+            if method == "ring":
+                made = engine.build(self.points, self.params, path)
+            elif method == "residual_pq":
+                book = residual_pq.train(self.points, self.d)
+                made = book, self._write(residual_pq.encode(self.points, book), path)
+            else:
+                how = {"shell_lsh": shell_lsh, "norm_band_lsh": norm_band_lsh}[method]
+                made = self._write(how.build(self.points, self.d), path)
             self.build_seconds[method] = time.perf_counter() - began
+            self._built[method] = made
         return self._built[method]
 
-    def _pq(self):
-        book = residual_pq.train(self.points, self.d)
-        index = residual_pq.encode(self.points, book).persist()
-        index.count()
-        return book, index
+    def _write(self, index: DataFrame, path: str) -> DataFrame:
+        """Vectors apart from the rest, as every method reads them from their own pages."""
+        index.drop("v").write.parquet(f"{path}/index")
+        index.select("vec_id", "v").write.parquet(f"{path}/vectors")
+        back = [self.spark.read.parquet(f"{path}/{x}") for x in ("index", "vectors")]
+        return back[0].join(back[1], "vec_id")
+
+    def reads(self, method: str, k: int) -> DataFrame:
+        """qid, vec_id, ip of the points that a baseline reads."""
+        b = self.built(method)
+        if method == "shell_lsh":
+            return shell_lsh.reads(b, self.queries, self.d, self.n, k)
+        if method == "norm_band_lsh":
+            return norm_band_lsh.reads(b, self.queries, self.d)
+        return residual_pq.reads(b[1], self.queries, b[0])
 
     def hits(self, method: str, k: int, c: float = 0.9, p: float = 0.5) -> DataFrame:
+        if method == "ring":
+            return self.built(method).search(self.queries, k, c, p)[0]
+        return exact.top_k(self.reads(method, k), k)
+
+    def _layout(self, method: str, page: int) -> DataFrame:
+        """Page of each vector: by shell, by band and code, by cell (the band with the greatest norms first)."""
+        if (method, page) not in self._kept:
+            b = self.built(method)
+            index, order = {"shell_lsh": (b, ["shell", "vec_id"]), "norm_band_lsh": (b, ["band", "code", "vec_id"]), "residual_pq": (b[-1] if method == "residual_pq" else b, ["cell", "vec_id"])}[method]
+            self._kept[method, page] = scratch.written(pages.layout(index.select("vec_id", *order[:-1]), order, pages.row_bytes(self.d), page), "layout")
+        return self._kept[method, page]
+
+    def page_counts(self, method: str, read: DataFrame, page: int = pages.PAGE_BYTES) -> DataFrame:
+        """qid, pages (of vectors), index_pages.  `read` is what reads() gives, for the ring the stats of its search."""
         b = self.built(method)
         if method == "ring":
-            return b.search(self.queries, k, c, p)[0]
+            cells = scratch.written(b.final_cells(self.queries, read), "cells")
+            return pages.page_access(cells, b.ring.subcells, pages.row_bytes(self.d), page).join(pages.index_pages(cells, b.ring.subcells, b.m, page), "qid")
+        data = pages.data_pages(read, self._layout(method, page))
         if method == "shell_lsh":
-            return shell_lsh.search(b, self.queries, self.d, self.n, k)
-        if method == "norm_band_lsh":
-            return norm_band_lsh.search(b, self.queries, self.d, k)
-        return residual_pq.search(b[1], self.queries, b[0], k)
+            return data.join(shell_lsh.table_pages(b, self.queries, read, self.d, self.n, page), "qid")
+        if method == "norm_band_lsh":  # codes of all buckets are ranked: (band, code, count) of each
+            buckets = b.groupBy("band", "code").count().groupBy().agg(F.ceil(F.count("*") * 16 / page).cast("long").alias("index_pages"))
+            return data.crossJoin(F.broadcast(buckets))
+        return data.join(residual_pq.code_pages(b[1], self.queries, b[0], page), "qid")
+
+    def figures(self, methods: Iterable[str] = METHODS, ks: Iterable[int] = tuple(range(10, 101, 10)), page: int = pages.PAGE_BYTES, repeat: int = 1) -> DataFrame:
+        """Ratio, recall, pages, index_pages, CPU and total seconds of a query by method and k; each k is a search of its own.
+
+        Times are medians of `repeat` searches of the whole batch, divided by its queries."""
+        out, nq = None, max(1, self.queries.count())
+        for method in methods:
+            self.built(method)
+            for k in ks:
+                times: list[dict] = []
+                for _ in range(repeat):
+                    times.append({})
+                    with metrics.metered(self.spark, times[-1]):
+                        if method == "ring":
+                            h, read = self.built(method).search(self.queries, k)
+                        else:
+                            read = scratch.written(self.reads(method, k), "reads")
+                            h = exact.top_k(read, k)
+                        h = scratch.written(h, "hits")
+                mid = {x: sorted(t[x] for t in times)[repeat // 2] / nq for x in ("cpu_seconds", "total_seconds")}
+                e = self.exact.where(F.col("rank") <= k)
+                both = metrics.overall_ratio(h, e).join(metrics.recall(h, e), "qid").join(self.page_counts(method, read, page), "qid", "left")
+                one = tidy(both, self.source, method, "", k, ratio="avg(ratio)", recall="avg(recall)", pages="avg(pages)", index_pages="avg(index_pages)", **{x: f"{v!r}D" for x, v in mid.items()})
+                one = scratch.written(one, "figures")
+                out = one if out is None else out.unionByName(one)
+        return out
 
     def accuracy(self, methods: Iterable[str] = METHODS, ks: Iterable[int] = (10, 50, 100)) -> DataFrame:
         """Overall ratio and recall by k.  Certificate-driven search runs once for each k."""
@@ -103,22 +160,16 @@ class Bench:
         return out
 
     def sizes(self) -> DataFrame:
-        """Logical bytes of what each method keeps beside the vectors, and build seconds."""
-        n, d, m = self.n, self.d, self.built("ring").m
-        kept = {"ring": pages.index_bytes(n, d, m)["narrow"], "shell_lsh": n * (8 + 8 * shell_lsh.params(n)["functions"]), "norm_band_lsh": n * (8 + 2), "residual_pq": n * (8 + 16) + 8 * (64 * d + 64 * d * d + 256 * d)}
+        """Bytes of the files that each method keeps beside the vectors (metadata, codebooks and rotations too), and build seconds."""
+        rows = []
         for method in METHODS:
-            self.built(method)
-        rows = [(self.source, x, "", 0, name, float(v)) for x in METHODS for name, v in (("index_bytes", kept[x]), ("build_seconds", self.build_seconds[x]))]
+            b = self.built(method)
+            kept = [f"{self.paths[method]}/{x}" for x in (("sign_cells", "ring/points_narrow", "ring/parts", "ring/subcells", "ring/manifest") if method == "ring" else ("index",))]
+            extra = b[0].nbytes if method == "residual_pq" else 0
+            size = sum(metrics.index_size(x, self.spark) for x in kept) + extra
+            rows += [(self.source, method, "", 0, "index_bytes", float(size)), (self.source, method, "", 0, "build_seconds", self.build_seconds[method])]
         return self.spark.createDataFrame(rows, "source string, method string, param string, k int, measure string, value double")
 
-    def times(self, methods: Iterable[str] = METHODS, k: int = 10, repeat: int = 3) -> dict[str, float]:
-        """Median seconds of a batch of all queries on built indexes."""
-        out = {}
-        for method in methods:
-            self.built(method)
-            out[method] = sorted(metrics.run_time(self.hits(method, k)) for _ in range(repeat))[repeat // 2]
-        return out
-
 
 def param_sweep(points: DataFrame, queries: DataFrame, settings: Iterable[tuple[int, int, int]], radius: float) -> DataFrame:
     """k_p, n_key, k_sp, touched cells and pages for balls of one radius: the answers never change, the costs do."""
