@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from innersearch.functions import vectors as V
 from innersearch.operators import certificates as C
 from innersearch.operators.exact import spread, top_k
+from innersearch.sources import scratch
 
 STATS = ("qid", "n_candidates", "radius", "radius_final", "stop_reason")
 
@@ -57,23 +58,24 @@ def ball_search(points: DataFrame, queries: DataFrame, radii: DataFrame, maxn2:
     """hits(qid, rank, vec_id, ip) and stats(qid, n_candidates, radius, radius_final, stop_reason).
 
     Queries that found fewer than k points get a radius that holds k; uncertified ones get the annulus up to the
-    enlarged radius in one more pass.  Both passes are one plan each and need no driver loop."""
+    enlarged radius in one more pass.  What a pass found is written: ids and products, no vectors."""
     q = queries.select("qid", "qv", "qpv", "qn2")
-    found = first_pass(points, q, radii, exclude_self, fetch).persist()
-    first = verdict(found, q, radii, maxn2, k, c, chi)
-    short = first.where("kth is null").select("qid").persist()
+    found = scratch.written(first_pass(points, q, radii, exclude_self, fetch), "found")
+    first = scratch.written(verdict(found, q, radii, maxn2, k, c, chi), "verdict")
+    short = first.where("kth is null").select("qid")
     base = radii.select("qid", "radius")
     if compensate and not short.isEmpty():
         wider = kth_near(points, q.join(F.broadcast(short), "qid", "left_semi"), k, exclude_self, fetch, enclosing)
-        base = base.join(F.broadcast(wider.withColumnRenamed("radius", "wide")), "qid", "left").select("qid", F.greatest("radius", F.coalesce("wide", F.lit(0.0))).alias("radius")).persist()
+        base = base.join(F.broadcast(wider.withColumnRenamed("radius", "wide")), "qid", "left").select("qid", F.greatest("radius", F.coalesce("wide", F.lit(0.0))).alias("radius"))
+        base = scratch.written(base, "base")
         grown = first_pass(points, q.join(F.broadcast(short), "qid", "left_semi"), base, exclude_self, fetch)
-        found = found.join(F.broadcast(short), "qid", "left_anti").unionByName(grown).persist()
-        first = verdict(found, q, base, maxn2, k, c, chi)
-    first = first.persist()
+        found = scratch.written(found.join(F.broadcast(short), "qid", "left_anti").unionByName(grown), "found")
+        first = scratch.written(verdict(found, q, base, maxn2, k, c, chi), "verdict")
     best = top_k(found, k)
     if compensate:
         open_ = first.where("not cert_a and not cert_b and radius_next > radius").select("qid", F.col("radius").alias("lo"), F.col("radius_next").alias("hi"))
-        ring = fetch(points, q.join(F.broadcast(open_), "qid").select("qid", "qv", "qpv", "lo", "hi"), exclude_self).persist()
+        ring = fetch(points, q.join(F.broadcast(open_), "qid").select("qid", "qv", "qpv", "lo", "hi"), exclude_self)
+        ring = scratch.written(ring, "annulus")
         best = top_k(best.select("qid", "vec_id", "ip").unionByName(ring.select("qid", "vec_id", "ip")), k)
         extra = ring.groupBy("qid").agg(F.count("*").alias("extra"))
         first = first.join(extra, "qid", "left").withColumn("n_candidates", F.col("n_candidates") + F.coalesce("extra", F.lit(0)))

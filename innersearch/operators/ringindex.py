@@ -163,7 +163,7 @@ def fetch(index: RingIndex):
     The cells and the rows left are the small sides, broadcast behind a check; the point tables are not shuffled then."""
 
     def run(points: DataFrame, balls: DataFrame, exclude_self: bool = True) -> DataFrame:
-        cells = scratch.small_side(candidate_cells(index, balls))
+        cells = scratch.small_side(scratch.written(candidate_cells(index, balls), "cells"))
         got = points.join(cells, ["part", "ikey", "sub"]).join(F.broadcast(balls.select("qid", "qpv", "lo", "hi")), "qid")
         if exclude_self:
             got = got.where("vec_id != qid")

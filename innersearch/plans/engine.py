@@ -60,8 +60,8 @@ class Engine:
         x = self.params
         k, c = k or x.k, c or x.c
         chi = self.chi if p is None else chisq.quantile(self.m, p)
-        q = self.queries(queries)
-        radii = self.radii(q, c, p).select("qid", "radius")
+        q = scratch.written(self.queries(queries), "queries")
+        radii = scratch.written(self.radii(q, c, p).select("qid", "radius"), "radii")
         fetch = ringindex.fetch(self.ring) if self.ring else ball.in_ball
         points = self.ring.points if self.ring else self.points
         near = (lambda some: ringindex.enclosing(self.ring, some, k, x.exclude_self)) if self.ring else None
