@@ -86,6 +86,33 @@ def ball_search(points: DataFrame, queries: DataFrame, radii: DataFrame, maxn2:
     return best, stats
 
 
+def banded_search(points: DataFrame, queries: DataFrame, radii: DataFrame, k: int, c: float, chi: float, exclude_self: bool = True) -> tuple[DataFrame, DataFrame]:
+    """hits and stats(qid, n_candidates, radius, n_bands) with a certificate for each band of norms; points have a `band`.
+
+    The greatest norm of a band stands in for that of all points: after the first ball a band needs no more where its max-norm
+    certificate holds, else its points up to the radius at which its chi-square certificate does.  Each unread point is so
+    covered by the certificate of its own band, at the same probability.  Bands of small norms are read less far or not at
+    all.  A query short of k points reads every band whole."""
+    q = queries.select("qid", "qv", "qpv", "qn2")
+    narrow = points.select("vec_id", "v", "pv", "band")
+    found = scratch.written(first_pass(points, q, radii, exclude_self), "found")
+    bands = points.groupBy("band").agg(F.max("n2").alias("top"))
+    first = scratch.written(verdict(found, q, radii, 0.0, k, c, chi).select("qid", "n_candidates", "kth", "radius"), "verdict")
+    both = first.join(q, "qid").crossJoin(F.broadcast(bands))
+    need = F.when(F.col("kth").isNull(), F.lit(float("inf"))).otherwise(C.enlarged(F.lit(0.0), F.col("kth"), F.col("qn2"), F.col("top"), c, chi))
+    asked = scratch.written(both.withColumn("hi", need).where("hi > radius").select("qid", "qv", "qpv", "band", F.col("radius").alias("lo"), "hi"), "band_balls")
+    met = spread(narrow).join(F.broadcast(asked), "band")
+    if exclude_self:
+        met = met.where("vec_id != qid")
+    more = met.withColumn("pdist", V.dist("pv", "qpv")).where("pdist <= hi and pdist > lo").select("qid", "vec_id", V.dot("v", "qv").alias("ip"))
+    more = scratch.written(more, "annulus")
+    extra = more.groupBy("qid").agg(F.count("*").alias("extra"))
+    open_ = asked.groupBy("qid").agg(F.count("*").alias("n_bands"))
+    stats = first.join(extra, "qid", "left").join(open_, "qid", "left")
+    best = top_k(found.select("qid", "vec_id", "ip").unionByName(more), k)
+    return best, stats.select("qid", (F.col("n_candidates") + F.coalesce("extra", F.lit(0))).alias("n_candidates"), "radius", F.coalesce("n_bands", F.lit(0)).alias("n_bands"))
+
+
 def verified(found: DataFrame, queries: DataFrame, maxn2: float, k: int, c: float) -> DataFrame:
     """qid, n_verified: candidates compared, in distance order, until the max-norm certificate holds on the best
     (k = 1), or all of them."""

@@ -146,13 +146,13 @@ def subcell_table(keyed: DataFrame, m: int) -> DataFrame:
 def candidate_cells(index: RingIndex, balls: DataFrame) -> DataFrame:
     """qid, part, ikey, sub of sub-cells that a ball (qid, qpv, lo, hi) may reach.
 
-    Metadata only, coarse to fine: clusters, then rings of reached clusters, then sub-cells."""
+    Metadata only, coarse to fine: clusters, then rings of reached clusters (the last is open), then sub-cells."""
     slack = 1e-6
     near = balls.crossJoin(F.broadcast(index.parts)).withColumn("cd", V.dist("qpv", "centre")).where(F.col("cd") <= F.col("radius") + F.col("hi") + slack)
     near = near.select("qid", "qpv", "lo", "hi", "part", "cd")
     cells = near.join(F.broadcast(index.subcells.withColumnRenamed("radius", "s_radius")), "part")
     ring_no = F.col("ikey") - F.col("part") * index.factor
-    cells = cells.where((ring_no * index.eps <= F.col("cd") + F.col("hi") + slack) & ((ring_no + 1) * index.eps >= F.col("cd") - F.col("hi") - slack))
+    cells = cells.where((ring_no * index.eps <= F.col("cd") + F.col("hi") + slack) & ((ring_no == index.factor - 1) | ((ring_no + 1) * index.eps >= F.col("cd") - F.col("hi") - slack)))
     d = V.dist("qpv", "pivot")
     return cells.where((d <= F.col("s_radius") + F.col("hi") + slack) & (d >= F.col("lo") - F.col("s_radius") - slack)).select("qid", "part", "ikey", "sub")
 
@@ -192,7 +192,7 @@ def enclosing(index: RingIndex, queries: DataFrame, k: int, exclude_self: bool =
 def fetch_plain(index: RingIndex, balls: DataFrame) -> DataFrame:
     """qid, vec_id, pdist by key intervals alone."""
     near = balls.crossJoin(F.broadcast(index.parts)).withColumn("cd", V.dist("qpv", "centre")).where("cd <= radius + hi + 1e-6")
-    lo = F.greatest(F.lit(0), F.floor((F.col("cd") - F.col("hi") - 1e-6) / index.eps))
+    lo = F.least(F.lit(index.factor - 1), F.greatest(F.lit(0), F.floor((F.col("cd") - F.col("hi") - 1e-6) / index.eps)))
     spans = near.select("qid", "qpv", "hi", (F.col("part") * index.factor + lo).alias("key_lo"), (F.col("part") * index.factor + F.least(F.lit(index.factor - 1), F.floor((F.col("cd") + F.col("hi") + 1e-6) / index.eps))).alias("key_hi"))
     met = spread(index.points).join(F.broadcast(spans), F.col("ikey").between(F.col("key_lo"), F.col("key_hi")))
     return met.withColumn("pdist", V.dist("pv", "qpv")).where("pdist <= hi and vec_id != qid").select("qid", "vec_id", "pdist")

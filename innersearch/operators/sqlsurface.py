@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import heapq
 from itertools import combinations
 
+import pandas as pd
 from pyspark.sql import SparkSession
-from pyspark.sql.functions import udtf
+from pyspark.sql.functions import pandas_udf, udtf
 
 _SCALAR = {
     "inner_product(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE": "aggregate(zip_with(a, b, (x, y) -> x * y), 0D, (s, t) -> s + t)",
@@ -27,6 +29,18 @@ class SignNeighbors:
                 yield (near,)
 
 
+def topk_heap(k: int):
+    """A grouped aggregate of (product, id): the ids of the k greatest products, ties to the smaller id.
+
+    The whole group reaches one Python worker; `exact.top_k` limits rows before the shuffle and is the way for large groups."""
+
+    @pandas_udf("array<bigint>")
+    def best(ip: pd.Series, vec_id: pd.Series) -> list[int]:
+        return [-i for _, i in heapq.nlargest(k, zip(ip, -vec_id, strict=True))]
+
+    return best
+
+
 def register(spark: SparkSession) -> None:
     for head, body in _SCALAR.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {head} RETURN {body}")

@@ -524,7 +524,7 @@ def _(s, d):
     return votes.groupBy("qid").agg(F.min_by("label", F.struct(-F.col("count"), "label")).alias("predicted"))
 
 
-from innersearch.plans import relational, whole  # noqa: E402,F401  these operators register themselves
+from innersearch.plans import figures, relational, whole  # noqa: E402,F401  these operators register themselves
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

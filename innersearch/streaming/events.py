@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from innersearch.functions import vectors as V
 from innersearch.operators.exact import top_k
+from innersearch.sources import scratch
 
 EVENT_SCHEMA = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 LATE = "30 minutes"
@@ -90,6 +91,20 @@ def append_points(changes: DataFrame, path: str, checkpoint: str):
     return changes.writeStream.format("parquet").option("path", path).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def index_changes(changes: DataFrame, path: str, matrix, checkpoint: str):
+    """Applies a stream of changes(op, vec_id, v, ts) to the ring index under path, a batch for each micro-batch; of an id's
+    changes in one micro-batch the last counts.  A replayed micro-batch is skipped, so an index has one checkpoint folder."""
+    from innersearch.operators import maintenance, projection
+
+    def put(batch: DataFrame, number: int) -> None:
+        last = batch.groupBy("vec_id").agg(F.max_by(F.struct("op", "v"), "ts").alias("c"))
+        last = scratch.written(last.select("vec_id", "c.op", "c.v"), "changes")
+        added = projection.project_points(last.where("op = 'add'").select("vec_id", "v"), matrix)
+        maintenance.apply_batch(batch.sparkSession, path, number, added, last.where("op != 'add'"))
+
+    return changes.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
 def live_points(base: DataFrame, log: DataFrame) -> DataFrame:
     """Base points with the change log applied (tombstones by anti join)."""
     return upsert_points(base, log)
