@@ -359,6 +359,13 @@ def test_shards(docs, empty, spark, sf_dir):
     assert stay > 0.5  # most keys keep their shard when one is added
 
 
+def test_a_shard_more_moves_little_more_than_its_share(spark):
+    table = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    before, after = ({r["doc_id"]: r["shard"] for r in ringshard.shard(table, shards=n).collect()} for n in (16, 17))
+    moved = sum(before[i] != after[i] for i in before) / len(before)
+    assert 0.5 / 17 < moved < 2 / 17
+
+
 @pytest.mark.parametrize("k, num", [(3, 90), (5, 80)])
 def test_rows_of_one_id_keep_their_own_component(spark, k, num):
     a, b = [f"a{i}" for i in range(60)], [f"b{i}" for i in range(60)]
