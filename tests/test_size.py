@@ -51,3 +51,64 @@ def test_lateral_topk_of_repeated_ids(spark, repeated):
 
 def test_norm_band_topk_reads_what_its_sql_reads(spark, larger):
     same(spark, "norm_band_topk", larger)
+
+
+def test_residual_pq_sends_no_name_of_this_package(spark, sf_dir):
+    """Executors may not have the package: what is sent to them loads without it."""
+    import pickle
+    import subprocess
+    import sys
+
+    from pyspark import cloudpickle
+
+    from innersearch.operators.baselines import residual_pq
+    from innersearch.sources import vectors as S
+
+    book = residual_pq.train(S.unit_embeddings(spark, sf_dir), 64, cells=4)
+    sent = pickle.dumps((pickle.dumps(vars(book)), cloudpickle.dumps(residual_pq._encode)))
+    load = "import pickle, sys; a, b = pickle.loads(sys.stdin.buffer.read()); import numpy; pickle.loads(b)(pickle.loads(a), numpy.ones((3, 64)))"
+    subprocess.run([sys.executable, "-c", load], input=sent, check=True, cwd="/")
+
+
+def test_rotations_of_a_large_cell_are_small(spark, sf_dir, monkeypatch):
+    """The left factor of a decomposition of 20,000 rows would take 3.2 GB."""
+    import tracemalloc
+
+    from innersearch.operators.baselines import residual_pq
+
+    x = spark.range(20_000).select(F.col("id").alias("vec_id"), F.array(*[F.sin(F.col("id") * (j + 1.7)) for j in range(4)]).alias("v"))
+    tracemalloc.start()
+    book = residual_pq.train(x, 4, subspaces=5, centroids=4, cells=1)
+    assert tracemalloc.get_traced_memory()[1] < 2**28
+    tracemalloc.stop()
+    turned = book.rotations[0].T @ book.rotations[0]
+    assert abs(turned - residual_pq.np.eye(5)).max() < 1e-9
+
+
+def test_residual_pq_short_list_by_brute_force(spark, larger):
+    """Points read are those of the least table distances, ties to the smaller id."""
+    import numpy as np
+
+    from innersearch.operators.baselines import residual_pq
+    from innersearch.sources import vectors as S
+
+    p = S.skewed_embeddings(spark, larger)
+    book = residual_pq.train(p, 64, cells=8)
+    queries = p.where("vec_id % 1000 = 7 and vec_id < 3000").select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))
+    got = {}
+    for r in residual_pq.reads(residual_pq.encode(p, book), queries, book, 3, 40).collect():
+        got.setdefault(r["qid"], set()).add(r["vec_id"])
+    rows = p.orderBy("vec_id").collect()
+    ids, v = np.array([r[0] for r in rows]), np.array([r[1] for r in rows])
+    cell, codes = book.encode(v)
+    for qid in (7, 1007, 2007):
+        q = v[ids == qid][0]
+        x = np.concatenate([q * np.sqrt(book.bound2) / np.linalg.norm(q), np.zeros(1 + book.pad)])
+        near = np.full(len(ids), np.inf)
+        for c in np.argsort(((book.cells - x) ** 2).sum(1), kind="stable")[:3]:
+            r = (x - book.cells[c]) @ book.rotations[c]
+            w = len(r) // len(book.books)
+            at = cell == c
+            near[at] = sum(((b[codes[at, i]] - r[i * w : (i + 1) * w]) ** 2).sum(1) for i, b in enumerate(book.books))
+        near[ids == qid] = np.inf
+        assert got[qid] == set(ids[np.lexsort((ids, np.round(near, 12)))[:40]].tolist())
