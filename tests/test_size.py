@@ -112,3 +112,61 @@ def test_residual_pq_short_list_by_brute_force(spark, larger):
             near[at] = sum(((b[codes[at, i]] - r[i * w : (i + 1) * w]) ** 2).sum(1) for i, b in enumerate(book.books))
         near[ids == qid] = np.inf
         assert got[qid] == set(ids[np.lexsort((ids, np.round(near, 12)))[:40]].tolist())
+
+
+def test_latent_factors_by_numpy(spark, sf_dir, monkeypatch):
+    """The same factors whatever fits a block, a slice or a piece; nothing of the size of the parts is a Python list."""
+    import numpy as np
+
+    from innersearch.sources import vectors as S
+
+    o, li = (spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in ("orders", "lineitem"))
+    cells = li.join(o, li.l_orderkey == o.o_orderkey).groupBy("o_custkey", "l_partkey").agg(F.sum("l_quantity").alias("x")).collect()
+    parts = sorted(r[0] for r in spark.read.parquet(f"{sf_dir}/part.parquet").select("p_partkey").collect())
+    custs = sorted({r[0] for r in cells})
+    a = np.zeros((len(custs), len(parts)))
+    for c, p, x in cells:
+        a[custs.index(c), parts.index(p)] = x
+    block = np.linalg.qr(np.random.default_rng(7).standard_normal((len(parts), 16)))[0]
+    for _ in range(4):
+        block = np.linalg.qr(a.T @ (a @ block))[0]
+    squares, basis = np.linalg.eigh(block.T @ (a.T @ (a @ block)))
+    want = a @ (block @ basis) @ (block @ basis).T
+    for sizes in ((2**26, 65_536, 131_072), (8 * len(parts) * 5, 50, 37)):
+        for name, size in zip(("BLOCK_BYTES", "QR_ROWS", "PIECE"), sizes, strict=True):
+            monkeypatch.setattr(S, name, size)
+        monkeypatch.setattr(S.orthogonal, "__defaults__", (sizes[1],))
+        items, users = S.latent_factors(spark, sf_dir)
+        items, users = ({r[0]: r[1] for r in x.collect()} for x in (items, users))
+        assert sorted(items) == parts and sorted(users) == custs
+        got = np.array([users[c] for c in custs]) @ np.array([items[p] for p in parts]).T
+        assert abs(got - want).max() < 1e-6
+
+
+@pytest.mark.parametrize("name", ["cost_model", "selectivity", "sign_neighbors", "toy_points"])
+def test_results_come_from_the_table(spark, sf_dir, larger, name):
+    """The SQL's rows on two tables; with points taken away the rows change."""
+    same(spark, name, sf_dir)
+    same(spark, name, larger)
+    few = os.path.join(larger, "..", f"few_{name}")
+    os.makedirs(few, exist_ok=True)
+    spark.read.parquet(f"{sf_dir}/embeddings.parquet").where("vec_id < 2").write.mode("overwrite").parquet(f"{few}/embeddings.parquet")
+    assert sorted(catalog.QUERIES[name](spark, few).collect()) != sorted(catalog.QUERIES[name](spark, sf_dir).collect())
+
+
+def test_blocked_search_of_many_batches(spark, larger):
+    """Batches pass on what reaches the k-th best so far: no answer is lost, ties stay."""
+    from innersearch.operators import exact
+    from innersearch.sources import vectors as S
+
+    p = S.unit_embeddings(spark, larger)
+    p = p.unionByName(p.where("vec_id < 500").selectExpr("vec_id + 100000 as vec_id", "v"))  # copies tie
+    queries = S.sample_queries(p, 12)
+    want = exact.exact_topk(p, queries, 7).collect()
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "64")
+    try:
+        got = exact.exact_topk_blocked(p, queries, 7).collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    key = lambda rows: sorted((r["qid"], r["rank"], round(r["ip"], 9)) for r in rows)
+    assert key(got) == key(want) and len(got) == 84
