@@ -170,3 +170,19 @@ def test_blocked_search_of_many_batches(spark, larger):
         spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
     key = lambda rows: sorted((r["qid"], r["rank"], round(r["ip"], 9)) for r in rows)
     assert key(got) == key(want) and len(got) == 84
+
+
+def test_shell_pairs_are_a_byte_each(spark, sf_dir):
+    """Levels of all pairs take a byte, not a row; the best of a shell give the answers that all points read give."""
+    from innersearch.operators.baselines import shell_lsh
+    from innersearch.operators.exact import top_k
+    from innersearch.sources import vectors as S
+
+    p = S.skewed_embeddings(spark, sf_dir)
+    index = shell_lsh.build(p, 64)
+    queries = p.where("vec_id % 50 = 0").select(F.col("vec_id").alias("qid"), F.col("v").alias("qv"))
+    n = p.count()
+    leveled, asked = shell_lsh.levels(index, queries, 64, n)
+    assert leveled.count() == n and {len(r[0]) for r in leveled.select("levels").collect()} == {len(asked)}
+    key = lambda df: sorted((r["qid"], r["rank"], r["vec_id"], r["ip"]) for r in df.collect())
+    assert key(shell_lsh.search(index, queries, 64, n)) == key(top_k(shell_lsh.reads(index, queries, 64, n), 10))
