@@ -186,3 +186,35 @@ def test_shell_pairs_are_a_byte_each(spark, sf_dir):
     assert leveled.count() == n and {len(r[0]) for r in leveled.select("levels").collect()} == {len(asked)}
     key = lambda df: sorted((r["qid"], r["rank"], r["vec_id"], r["ip"]) for r in df.collect())
     assert key(shell_lsh.search(index, queries, 64, n)) == key(top_k(shell_lsh.reads(index, queries, 64, n), 10))
+
+
+def test_products_come_in_slices(spark, monkeypatch):
+    """The driver holds one slice of a product, within BLOCK_BYTES; the slices make up the whole of it."""
+    import numpy as np
+
+    from innersearch.sources import vectors as S
+
+    a = np.random.default_rng(1).random((9, 30)) * (np.random.default_rng(2).random((9, 30)) < 0.4)
+    rows = spark.createDataFrame([(i, np.nonzero(x)[0].tolist(), x[x > 0].tolist()) for i, x in enumerate(a)], "cust long, at array<long>, x array<double>")
+    block = np.random.default_rng(3).random((30, 8))
+    monkeypatch.setattr(S, "BLOCK_BYTES", 8 * 30 * 3)
+    monkeypatch.setattr(S, "PIECE", 7)
+    got = list(S._gram(rows, block, 30))
+    assert [lo for lo, _ in got] == [0, 3, 6] and all(x.nbytes <= 8 * 30 * 3 for _, x in got)
+    assert abs(np.hstack([x for _, x in got]) - a.T @ (a @ block)).max() < 1e-9
+
+
+def test_lines_of_unknown_parts(spark, sf_dir, tmp_path):
+    """Lines of parts that the part table lacks are left out, with the customers who have no others."""
+    from innersearch.sources import vectors as S
+
+    read = lambda t: spark.read.parquet(f"{sf_dir}/{t}.parquet")
+    part, o = read("part").where("p_partkey % 3 != 0"), read("orders").where("o_custkey < 40")
+    part.write.parquet(f"{tmp_path}/part.parquet")
+    o.write.parquet(f"{tmp_path}/orders.parquet")
+    li = read("lineitem").withColumn("l_partkey", F.when(F.col("l_orderkey").isin([r[0] for r in o.where("o_custkey < 10").select("o_orderkey").collect()]), F.lit(0)).otherwise(F.col("l_partkey")))
+    li.write.parquet(f"{tmp_path}/lineitem.parquet")
+    known = li.join(o, li.l_orderkey == o.o_orderkey).join(part, li.l_partkey == part.p_partkey)
+    items, users = S.latent_factors(spark, str(tmp_path))
+    assert sorted(r[0] for r in users.select("vec_id").collect()) == sorted(r[0] for r in known.select("o_custkey").distinct().collect())
+    assert items.count() == part.count()
