@@ -31,7 +31,7 @@ from innersearch.llm.common import bound_batches, scratch_path, text_slices, tid
 
 BLOCK_IDS = 16_384
 CHUNK_IDS = 262_144
-#: Bytes that the caches of an encoder may take, about, and the longest word that they hold.
+#: Bytes that the cache of an encoder may take, about, and the longest word that it holds.
 CACHE_BYTES = 128_000_000
 CACHE_WORD = 64
 #: A longer text is encoded in pieces of this many bytes, cut at white space.
@@ -70,7 +70,8 @@ class Cache:
 
 class WordEncoder:
     """Encodes whole texts with a tokenizer whose pre-tokenizer never joins characters across ASCII
-    white space, remembering the ids of words and pieces in caches bounded by bytes.
+    white space, remembering the ids of words and pieces in one cache bounded by bytes: a piece that
+    stands as a word has the same ids.
 
     Words of ASCII and Latin-1 letters take a short way: lower-casing, the piece pattern of the
     vocabulary file and the BPE model itself.  All other words go through the full tokenizer."""
@@ -87,7 +88,7 @@ class WordEncoder:
 
         self.full = Tokenizer.from_file(path)
         self.model = self.full.model
-        self.words, self.pieces = Cache(cache_bytes * 3 // 4), Cache(cache_bytes // 4)
+        self.words = Cache(cache_bytes)
         visible = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
         hidden = [b for b in range(256) if b not in set(visible)]
         self.byte_chars = [""] * 256
@@ -95,7 +96,10 @@ class WordEncoder:
             self.byte_chars[b] = chr(b)
         for i, b in enumerate(hidden):
             self.byte_chars[b] = chr(256 + i)
+        self.id_bytes = [i.to_bytes(4, "little") for i in range(self.full.get_vocab_size())]
         self.short_way = self._short_way_holds()
+        if not self.short_way:
+            self.words = Cache(cache_bytes)
 
     def _short_way_holds(self) -> bool:
         """True if the short way gives the tokenizer's own ids on a probe of all its characters."""
@@ -106,24 +110,38 @@ class WordEncoder:
     def _long(self, word: str) -> bytes:
         return np.array(self.full.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
 
+    def _units(self, piece: str) -> bytes:
+        """The ids of one piece by the model."""
+        units = piece if piece.isascii() else "".join([self.byte_chars[b] for b in piece.encode()])
+        known = self.id_bytes
+        return b"".join([known[t.id] for t in self.model.tokenize(units)])
+
+    def _piece(self, key: bytes) -> bytes:
+        ids = self.words.now.get(key) or self.words.again(key)
+        if ids is None:
+            ids = self._units(key.decode())
+            self.words.put(key, ids)
+        return ids
+
     def _short(self, word: str) -> bytes:
-        out = []
-        for piece in self.PIECE.findall(word.lower()):
-            ids = self.pieces.now.get(piece) or self.pieces.again(piece)
-            if ids is None:
-                units = piece if piece.isascii() else "".join([self.byte_chars[b] for b in piece.encode()])
-                ids = b"".join([t.id.to_bytes(4, "little") for t in self.model.tokenize(units)])
-                self.pieces.put(piece, ids)
-            out.append(ids)
-        return b"".join(out)
+        low = word.lower()
+        pieces = self.PIECE.findall(low)
+        if len(pieces) == 1 and low == word:  # the caller remembers it
+            return self._units(word)
+        return b"".join([self._piece(p.encode()) for p in pieces])
+
+    def _made(self, raw: bytes) -> bytes:
+        if self.short_way and raw.isalpha():  # ASCII letters: one piece
+            low = raw.lower()
+            return self._units(raw.decode()) if low == raw else self._piece(low)
+        word = raw.decode()
+        return self._short(word) if self.short_way and "<|" not in word and self.PLAIN.fullmatch(word) else self._long(word)
 
     def _word(self, raw: bytes) -> bytes:
         ids = self.words.now.get(raw) or self.words.again(raw)
-        if ids is not None:
-            return ids
-        word = raw.decode()
-        ids = self._short(word) if self.short_way and "<|" not in word and self.PLAIN.fullmatch(word) else self._long(word)
-        self.words.put(raw, ids)
+        if ids is None:
+            ids = self._made(raw)
+            self.words.put(raw, ids)
         return ids
 
     def encode(self, text: bytes) -> bytes:

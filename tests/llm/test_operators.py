@@ -455,3 +455,18 @@ def test_long_items_are_divided(spark):
     got = decontam.annotate_hits(docs, bench, ["doc_id"], max_words=40).collect()
     assert all(r["__spans"] == [1, 13] and r["__items"] == ["big"] for r in got) and len(got) == docs.count()
     assert sum(1 for _ in decontam.automata(bench, max_words=40)) > 5
+
+
+def test_encoder_holds_a_word_once():
+    """Words of one piece take no second entry, so a cache holds as many as its bytes allow; ids are the tokenizer's own."""
+    import numpy as np
+    from tokenizers import Tokenizer
+
+    coder, full = tokenids.WordEncoder(tokenizer_path(), 1_000_000), Tokenizer.from_file(tokenizer_path())
+    words = ["".join(chr(97 + i * 7**j // 5**j % 26) for j in range(8)) + chr(97 + i % 26) + chr(97 + i // 26 % 26) + chr(97 + i // 676) for i in range(3700)]
+    coder.encode(" ".join(words).encode())
+    assert all(w.encode() in coder.words.now or w.encode() in coder.words.old for w in words)
+    for text in ("kalo Kalo, KALO kalo's größe Größe GRÖSSE 's ''s x''s 12a <|x|> ×÷ ÿ ß, '", "' '' , ,, kalo,kalo"):
+        want = [i for w in text.split() for i in full.encode(w, add_special_tokens=False).ids]
+        assert np.frombuffer(coder.encode(text.encode()), "<u4").tolist() == want
+        assert np.frombuffer(coder.encode(text.encode()), "<u4").tolist() == want
