@@ -218,3 +218,43 @@ def test_lines_of_unknown_parts(spark, sf_dir, tmp_path):
     items, users = S.latent_factors(spark, str(tmp_path))
     assert sorted(r[0] for r in users.select("vec_id").collect()) == sorted(r[0] for r in known.select("o_custkey").distinct().collect())
     assert items.count() == part.count()
+
+
+def test_products_take_the_place_of_their_columns(spark, monkeypatch):
+    """Pieces of a product are put where its columns were while others are still to be sent; the driver holds no more of it."""
+    import numpy as np
+
+    from innersearch.sources import vectors as S
+
+    a = np.random.default_rng(1).random((9, 30)) * (np.random.default_rng(2).random((9, 30)) < 0.4)
+    rows = spark.createDataFrame([(i, np.nonzero(x)[0].tolist(), x[x > 0].tolist()) for i, x in enumerate(a)], "cust long, at array<long>, x array<double>")
+    block = np.asfortranarray(np.random.default_rng(3).random((30, 8)))
+    want = a.T @ (a @ block)
+    monkeypatch.setattr(S, "BLOCK_BYTES", 8 * 30 * 3)
+    monkeypatch.setattr(S, "PIECE", 7)
+    seen = []
+    for lo, at, x in S._pieces(rows, block, 30):
+        seen.append((lo, at))
+        assert x.nbytes <= 8 * 7 * 3
+        block[at : at + len(x), lo : lo + x.shape[1]] = x
+    assert sorted(seen) == [(lo, at) for lo in (0, 3, 6) for at in range(0, 30, 7)]
+    assert abs(block - want).max() < 1e-9
+
+
+def test_codebooks_are_trained_by_slices(spark):
+    """All distances of 20,000 points from 256 centroids would take 41 MB, and twice that with their parts."""
+    import tracemalloc
+
+    from innersearch.operators.baselines import residual_pq
+
+    x = spark.range(20_000).select(F.col("id").alias("vec_id"), F.array(*[F.sin(F.col("id") * (j + 1.7)) for j in range(4)]).alias("v"))
+    tracemalloc.start()
+    book = residual_pq.train(x, 4, subspaces=5, centroids=256, cells=4)
+    assert tracemalloc.get_traced_memory()[1] < 2**25
+    tracemalloc.stop()
+    v = residual_pq.np.array([r[0] for r in x.orderBy("vec_id").select("v").collect()])
+    cell, codes = book.encode(v)
+    lifted = book.lift(v)
+    assert (cell == ((lifted[:, None] - book.cells[None]) ** 2).sum(2).argmin(1)).mean() > 0.9999
+    r = book.rotated(lifted, cell)
+    assert (codes[:, 0] == ((r[:, :1] - book.books[0].T) ** 2).argmin(1)).mean() > 0.99
