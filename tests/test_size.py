@@ -258,3 +258,45 @@ def test_codebooks_are_trained_by_slices(spark):
     assert (cell == ((lifted[:, None] - book.cells[None]) ** 2).sum(2).argmin(1)).mean() > 0.9999
     r = book.rotated(lifted, cell)
     assert (codes[:, 0] == ((r[:, :1] - book.books[0].T) ** 2).argmin(1)).mean() > 0.99
+
+
+def test_recommendations_for_every_customer(spark, sf_dir):
+    """The five greatest products of every customer who has factors, by brute force."""
+    import numpy as np
+
+    from innersearch.sources import vectors as S
+
+    items, users = ({r[0]: r[1] for r in x.collect()} for x in S.latent_factors(spark, sf_dir))
+    buyers = {r[0] for r in spark.read.parquet(f"{sf_dir}/orders.parquet").select("o_custkey").distinct().collect()}
+    got = {}
+    for r in sorted(catalog.QUERIES["recommend_for_customer"](spark, sf_dir).collect(), key=lambda r: (r["qid"], r["rank"])):
+        got.setdefault(r["qid"], []).append(r["ip"])
+    assert got.keys() == users.keys() == buyers
+    ip = np.array([users[u] for u in sorted(users)]) @ np.array([items[i] for i in sorted(items)]).T
+    want = -np.sort(-ip, axis=1)[:, :5]
+    assert abs(np.array([got[u] for u in sorted(users)]) - want).max() < 1e-6
+
+
+@pytest.mark.parametrize("sizes", [(2**26, 1024, 4096), (40 * 64 * 9, 16, 7)])
+def test_search_of_many_queries_by_brute_force(spark, monkeypatch, sizes):
+    """Slices, tiles and steps lose no answer; ties go to the smaller id, also for a query of zeros."""
+    import numpy as np
+
+    from innersearch.operators import exact
+
+    for name, size in zip(("SLICE_BYTES", "TILE_ROWS", "STEP_ROWS"), sizes, strict=True):
+        monkeypatch.setattr(exact, name, size)
+    r = np.random.default_rng(5)
+    v = r.integers(-3, 4, (900, 6)) * r.choice([0.25, 1.0, 8.0], (900, 1))
+    v[300:600] = v[:300]  # copies tie
+    v[::50] = 0
+    q = r.integers(-3, 4, (60, 6)).astype(float)
+    q[7] = 0
+    points = spark.createDataFrame([(7 * i % 900, [float(y) for y in x]) for i, x in enumerate(v)], "vec_id long, v array<double>")
+    queries = spark.createDataFrame([(i, [float(y) for y in x]) for i, x in enumerate(q)], "qid long, qv array<double>")
+    ids = np.array([7 * i % 900 for i in range(900)])
+    got = {(x["qid"], x["rank"]): (x["vec_id"], x["ip"]) for x in exact.exact_topk_many(points, queries, 8).collect()}
+    want = {(i, n + 1): (int(ids[j]), float(v[j] @ x)) for i, x in enumerate(q) for n, j in enumerate(np.lexsort((ids, -(v @ x)))[:8])}
+    assert got == want
+    few = exact.exact_topk_many(points.where("vec_id < 3"), queries, 8).collect()
+    assert len(few) == 180 and exact.exact_topk_many(points.where("vec_id < 0"), queries, 8).count() == 0
