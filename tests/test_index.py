@@ -53,3 +53,45 @@ def test_samples_at_small_rates(spark):
     got = spark.range(10**6).where(kmeans.hash_share("id") < 1e-4).count()
     assert 50 < got < 160
     assert spark.range(1).select(kmeans.hash_share("id").alias("x")).where("x >= 0 and x < 1").count() == 1
+
+
+def test_fetch_by_batches_equals_the_joins(spark, sf_dir, monkeypatch):
+    """Points of balls come the same by batches and by joins, also when a task makes few pairs at once; a point left is one row."""
+    e = engine.build(S.skewed_embeddings(spark, sf_dir), engine.SearchParams(m=4))
+    q = scratch.written(e.queries(S.sample_queries(S.skewed_embeddings(spark, sf_dir), 9)), "queries")
+    radii = scratch.written(e.radii(q).select("qid", "radius"), "radii")
+    balls = scratch.written(q.join(radii, "qid").select("qid", "qv", "qpv", F.lit(0.5).alias("lo"), F.col("radius").alias("hi")), "balls")
+    seen, keep = {}, scratch.written
+    monkeypatch.setattr(scratch, "written", lambda df, name: seen.setdefault(name, keep(df, name)) if name == "in_ball" else keep(df, name))
+    got = sorted(ringindex.fetch(e.ring)(e.ring.points, balls).collect())
+    left = seen["in_ball"]
+    assert left.select("vec_id").distinct().count() == left.count() < len(got)
+    monkeypatch.setattr(scratch, "written", keep)
+    monkeypatch.setattr(ringindex, "PAIRS", 10)
+    assert sorted(ringindex.fetch(e.ring)(e.ring.points, balls).collect()) == got
+    want = sorted(ringindex._fetch_joined(e.ring, e.ring.points, balls, ringindex.candidate_cells(e.ring, balls), True).collect())
+    assert got == want
+
+
+def test_table_pages_by_brute_force(spark, sf_dir):
+    """Entries within reach in each hash table, a page more than they fill, and hashes to the last bit."""
+    from innersearch.operators import projection
+    from innersearch.operators.baselines import shell_lsh
+
+    p = S.skewed_embeddings(spark, sf_dir)
+    n = p.count()
+    index = scratch.written(shell_lsh.build(p, 64), "shells")
+    lifted = index.withColumn("u", shell_lsh.transforms.lift_point(F.col("v"), F.col("bound") * F.col("bound")))
+    by = shell_lsh.params(n)
+    assert lifted.where(shell_lsh.projected("u", projection.gaussian_matrix(by["functions"], 65)) != F.col("h")).count() == 0
+    queries = S.sample_queries(p, 5)
+    read = scratch.written(shell_lsh.reads(index, queries, 64, n, 5), "reads")
+    got = dict(shell_lsh.table_pages(index, queries, read, 64, n, 64).collect())
+    hashes = {r["qid"]: r["qh"] for r in shell_lsh.hashed(queries, 64, by["functions"]).collect()}
+    rows, want = index.collect(), {}
+    for qid, shell, last in read.select("qid", "shell", "last").distinct().collect():
+        mine = [r for r in rows if r["shell"] == shell]
+        for f in range(by["functions"]):
+            inside = sum(abs(r["h"][f] - hashes[qid][f] * r["bound"]) <= by["w"] * (r["bound"] / 50) * 2.0**last / 2 for r in mine)
+            want[qid] = want.get(qid, 0) + inside // 4 + 1
+    assert got == want
